@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, chat, html, pii, simhash
+from . import bpe, chat, decontam, html, langid, lm, pii, simhash
 from .common import table, tuned
 
 
@@ -15,6 +15,11 @@ def op1_html_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html.extract(table(tuned(spark), sf_dir, "pages"))
 
 
+def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    got = langid.identify(table(tuned(spark), sf_dir, "documents"))
+    return got.select("doc_id", langid.held_out().alias("held_out"), "lang_pred", "score")
+
+
 def op4_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     got = simhash.groups(table(tuned(spark), sf_dir, "documents"))
     return got.select("doc_id", simhash.hex_digits().alias("fingerprint"), "component_id")
@@ -29,6 +34,15 @@ def op6_pii_bootstrapped(spark: SparkSession, sf_dir: str) -> DataFrame:
     return got.select("doc_id", *(f"n_{k}" for k in pii.KINDS), F.sha2(F.col("base").cast("binary"), 256).alias("base_sha256"), "spans")
 
 
+def op8_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontam.contaminated(table(tuned(spark), sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op9_cross_entropy_difference(spark: SparkSession, sf_dir: str) -> DataFrame:
+    good = table(tuned(spark), sf_dir, "labels").where("quality = 1")
+    return lm.score(table(spark, sf_dir, "documents"), good)
+
+
 CHAT_EXTRA = r"\### Assistant: </turn> ok"
 
 
@@ -38,7 +52,7 @@ def op10_chat_rendering(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.digests(chat.render(rows.unionByName(extra)))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_html_main_text, op4_simhash_groups, op5_bpe_round_trip, op6_pii_bootstrapped, op10_chat_rendering)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_html_main_text, op2_language_id, op4_simhash_groups, op5_bpe_round_trip, op6_pii_bootstrapped, op8_benchmark_decontamination, op9_cross_entropy_difference, op10_chat_rendering)}
 
 _ESCAPED = r"regexp_replace({}, '([\\#<:])', '\\\1', 'g')"
 ORACLE_SQL: dict[str, str] = {
