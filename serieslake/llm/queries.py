@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, chat, decontam, html, langid, lm, pii, simhash
+from . import bpe, chat, decontam, embeddings, html, langid, lm, pii, simhash, suffixes
 from .common import table, tuned
 
 
@@ -20,6 +20,10 @@ def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return got.select("doc_id", langid.held_out().alias("held_out"), "lang_pred", "score")
 
 
+def op3_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffixes.deduplicate(table(tuned(spark), sf_dir, "documents")).drop("kept")
+
+
 def op4_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     got = simhash.groups(table(tuned(spark), sf_dir, "documents"))
     return got.select("doc_id", simhash.hex_digits().alias("fingerprint"), "component_id")
@@ -34,6 +38,10 @@ def op6_pii_bootstrapped(spark: SparkSession, sf_dir: str) -> DataFrame:
     return got.select("doc_id", *(f"n_{k}" for k in pii.KINDS), F.sha2(F.col("base").cast("binary"), 256).alias("base_sha256"), "spans")
 
 
+def op7_embedding_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embeddings.near_duplicates(table(tuned(spark), sf_dir, "embeddings"))
+
+
 def op8_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.contaminated(table(tuned(spark), sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -52,10 +60,27 @@ def op10_chat_rendering(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.digests(chat.render(rows.unionByName(extra)))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_html_main_text, op2_language_id, op4_simhash_groups, op5_bpe_round_trip, op6_pii_bootstrapped, op8_benchmark_decontamination, op9_cross_entropy_difference, op10_chat_rendering)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_html_main_text, op2_language_id, op3_suffix_array_dedup, op4_simhash_groups, op5_bpe_round_trip, op6_pii_bootstrapped, op7_embedding_near_duplicates, op8_benchmark_decontamination, op9_cross_entropy_difference, op10_chat_rendering)}
 
+_COSINE = "list_sum(list_transform(list_zip(a.e, b.e), lambda x: x[1] * x[2])) / (a.n * b.n) >= 0.98"
 _ESCAPED = r"regexp_replace({}, '([\\#<:])', '\\\1', 'g')"
 ORACLE_SQL: dict[str, str] = {
+    "op7_embedding_near_duplicates": f"""
+WITH RECURSIVE base AS (
+  SELECT vec_id, label, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS e FROM embeddings),
+good AS (
+  SELECT vec_id, label, e, sqrt(list_sum(list_transform(e, lambda x: x * x))) AS n FROM base
+  WHERE label IS NOT NULL AND e IS NOT NULL AND len(e) > 0
+    AND len(list_filter(e, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(e, lambda x: x <> 0)) > 0),
+links AS (
+  SELECT a.vec_id AS a, b.vec_id AS b FROM good a JOIN good b
+    ON a.label = b.label AND a.vec_id <> b.vec_id AND len(a.e) = len(b.e) AND {_COSINE}),
+reach AS (
+  SELECT vec_id AS node, vec_id AS other FROM base
+  UNION SELECT r.node, l.b FROM reach r JOIN links l ON l.a = r.other)
+SELECT r.node AS vec_id, (SELECT count(*) FROM links l WHERE l.a = r.node) AS n_links,
+  min(r.other) AS component_id, min(r.other) = r.node AS kept
+FROM reach r GROUP BY r.node""",
     "op10_chat_rendering": f"""
 WITH rows AS (
   SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
