@@ -106,9 +106,9 @@ def word_table(docs: DataFrame, path: str, head: int = HEAD) -> dict[str, tuple[
     return {r.word: tuple(r.ids) for r in rows}
 
 
-def encode_decode(docs: DataFrame, path: str | None = None, head: int = HEAD, keep=("doc_id",), whole: bool = True) -> DataFrame:
-    """``keep`` columns with ids array<int>, decoded string and their digests; ``whole=False`` leaves
-    out ids and decoded text, which many users of the digests don't need."""
+def encode_decode(docs: DataFrame, path: str | None = None, head: int = HEAD, keep=("doc_id",), with_ids: bool = True, with_text: bool = True) -> DataFrame:
+    """``keep`` columns, n_tokens and the digests of ids and decoded text, with ids array<int> and
+    decoded string if they are wanted."""
     path = path or default_vocabulary()
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(word_table(docs, path, head))
@@ -137,14 +137,14 @@ def encode_decode(docs: DataFrame, path: str | None = None, head: int = HEAD, ke
                 n.append(len(ids))
                 ids_sha.append(sha(",".join(map(number.__getitem__, ids))))
                 text_sha.append(sha(decoded))
-                if whole:
+                if with_ids:
                     ids_out.append(ids)
+                if with_text:
                     texts_out.append(decoded.decode())
-            return [n, ids_sha, text_sha] + ([ids_out, texts_out] if whole else [])
+            return [n, ids_sha, text_sha] + [ids_out] * with_ids + [texts_out] * with_text
 
         return work
 
     fields = [T.StructField("n_tokens", T.LongType()), T.StructField("ids_sha256", T.StringType()), T.StructField("decoded_sha256", T.StringType())]
-    if whole:
-        fields += [T.StructField("ids", T.ArrayType(T.IntegerType())), T.StructField("decoded", T.StringType())]
+    fields += [T.StructField("ids", T.ArrayType(T.IntegerType()))] * with_ids + [T.StructField("decoded", T.StringType())] * with_text
     return map_batches(docs, list(keep), ["text"], fields, run)

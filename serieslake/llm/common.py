@@ -28,14 +28,26 @@ def tuned(spark: SparkSession) -> SparkSession:
     return spark
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """Cuts the lineage by a reliable checkpoint in the folder that all executors share."""
-    spark = df.sparkSession
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that the cluster names in spark.checkpoint.dir; one of our own only where none is set, as in tests."""
     if spark.sparkContext.getCheckpointDir() is None:
         spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints")
+    return spark.sparkContext.getCheckpointDir()
+
+
+def cut(df: DataFrame) -> DataFrame:
+    """Cuts the lineage by a reliable checkpoint in the shared folder."""
+    shared_folder(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
+def apart(docs: DataFrame, own: Sequence[str] = ("doc_id", "text")) -> tuple[DataFrame, Callable[[DataFrame], DataFrame]]:
+    """``docs`` with all columns but ``own`` under neutral names, so that no name of ours clashes, and the way back."""
+    names = docs.columns
+    inner = [n if n in own else f"_other{i}" for i, n in enumerate(names)]
+    return docs.toDF(*inner), lambda out: out.select(*(F.col(a).alias(b) for a, b in zip(inner, names, strict=True)))
+
+
 def map_batches(df: DataFrame, keep: Sequence[str], inputs: Sequence[str], fields: Sequence[T.StructField], fn: Callable[[], Callable[..., list[list]]]) -> DataFrame:
     """One output row per input row. ``fn()`` runs once a task and gives a function from the
     lists of ``inputs`` to the lists of ``fields``; the ``keep`` columns pass as Arrow arrays,

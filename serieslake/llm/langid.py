@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import map_batches
+from .common import apart, map_batches
 
 SAMPLE, EM_ROUNDS, LONGEST, WIDTH = 400, 3, 8, 24
 FLOOR = 1e-7
@@ -196,3 +196,11 @@ def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], path: str, kee
 def identify(docs: DataFrame, path: str | None = None, keep=("doc_id",), sample: int = SAMPLE) -> DataFrame:
     path = path or default_vocabulary()
     return predict(docs, fit(docs, path, sample), path, keep)
+
+
+def keep_identified(docs: DataFrame, path: str | None = None) -> DataFrame:
+    """``docs`` without the documents that have no language; all columns stay, whatever their names."""
+    path = path or default_vocabulary()
+    inner, back = apart(docs, ("doc_id", "text", "lang"))
+    judged = predict(inner, fit(docs, path), path, keep=inner.columns)
+    return back(judged.where("lang_pred <> 'und'"))

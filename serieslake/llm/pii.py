@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import cut, map_batches
+from .common import apart, cut, map_batches
 
 KINDS = ("email", "ip", "card", "phone")
 #: The contract's shapes; a run of digits is entered at its first digit only, which finds the same matches in linear time.
@@ -165,6 +165,7 @@ def detect(docs: DataFrame) -> DataFrame:
 def redact(docs: DataFrame) -> DataFrame:
     """``docs`` with each span of the text replaced by its kind in angle brackets; n_chars follows."""
     found_ = detect(docs).where("spans <> ''").groupBy("doc_id", "text_key").agg(F.min("spans").alias("spans")).select(F.col("doc_id").alias("d"), F.col("text_key").alias("k"), "spans")
+    docs, back = apart(docs, ("doc_id", "text", "n_chars"))
     keyed = docs.withColumn("_key", F.xxhash64(F.coalesce("text", F.lit(""))))
     both = keyed.join(found_, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("_key") == F.col("k")), "left")
 
@@ -188,4 +189,4 @@ def redact(docs: DataFrame) -> DataFrame:
     names = docs.columns
     others = [c for c in names if c != "text"]
     new = map_batches(both, others, ["text", "spans"], [T.StructField("text", T.StringType())], run)
-    return new.select(*(F.length("text").cast("long").alias(c) if c == "n_chars" else F.col(c) for c in names))
+    return back(new.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in names else new)

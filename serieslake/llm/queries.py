@@ -30,7 +30,7 @@ def op4_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return bpe.encode_decode(table(tuned(spark), sf_dir, "documents"), whole=False)
+    return bpe.encode_decode(table(tuned(spark), sf_dir, "documents"), with_ids=False, with_text=False)
 
 
 def op6_pii_bootstrapped(spark: SparkSession, sf_dir: str) -> DataFrame:

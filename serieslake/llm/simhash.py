@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import components, cut, map_batches
+from .common import apart, components, cut, map_batches
 
 SHINGLE, SEED, RADIUS, THRESHOLD = 4, 42, 3, 4
 #: First bit and width of the blocks.
@@ -185,5 +185,14 @@ def groups(docs: DataFrame) -> DataFrame:
     return joined.select("doc_id", "fp", F.when(F.col("doc_id").isNotNull(), F.col("least_")).alias("component_id"))
 
 
+def one_of_each(docs: DataFrame) -> DataFrame:
+    """``docs`` with the smallest document of each group only; all columns stay. Rows of a null id stay,
+    of rows with an equal id one stays."""
+    docs, back = apart(docs)
+    kept = groups(docs).where("doc_id = component_id").select("doc_id").distinct()
+    named = docs.where("doc_id is not null").join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    return back(named.unionByName(docs.where("doc_id is null")))
+
+
 def hex_digits(fp: str = "fp"):
     return F.lower(F.lpad(F.hex(F.col(fp)), 16, "0"))
