@@ -21,7 +21,7 @@ def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return suffixes.deduplicate(table(tuned(spark), sf_dir, "documents")).drop("kept")
+    return suffixes.deduplicate(table(tuned(spark), sf_dir, "documents"), with_kept=False)
 
 
 def op4_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -54,6 +54,7 @@ def planted(seed):
 def test_removed_bytes_equal_brute_force(spark, seed, monkeypatch):
     monkeypatch.setattr(suffixes, "CENSUS_BYTES", 4000)
     monkeypatch.setattr(suffixes, "SUFFIX_BYTES", 3000)
+    monkeypatch.setattr(suffixes, "BLOCK_BYTES", 5000)
     compare(spark, planted(seed))
 
 
