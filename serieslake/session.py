@@ -25,3 +25,34 @@ def cut(df: DataFrame) -> DataFrame:
 def small(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
     """A broadcast hint if ``df`` has at most ``rows`` rows, else ``df`` itself; reads one row more than that at most."""
     return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
+
+
+def ship(spark: SparkSession) -> None:
+    """Makes this package importable on executors that weren't started with it on their path; once a session."""
+    import os
+    import tempfile
+    import zipfile
+
+    sc = spark.sparkContext
+    if getattr(sc, "_serieslake_shipped", False):
+        return
+    root = os.path.dirname(os.path.abspath(__file__))
+    top = os.path.dirname(root)
+    name = os.path.join(tempfile.mkdtemp(), "serieslake.zip")
+    with zipfile.ZipFile(name, "w") as z:
+        for folder, _, files in os.walk(root):
+            for f in files:
+                if f.endswith(".py"):
+                    z.write(os.path.join(folder, f), os.path.relpath(os.path.join(folder, f), top))
+    sc.addPyFile(name)
+    sc._serieslake_shipped = True
+
+
+def shipped(f):
+    """A query that ships the package before it runs."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        ship(spark)
+        return f(spark, sf_dir)
+
+    return run
