@@ -30,6 +30,8 @@ from .common import map_batches
 WORDS, CLASSES = 1023, 1024
 SIZE = 1 + WORDS + CLASSES
 PRIOR = 50.0
+#: The target model is fitted on at most so many good documents; the background model counts all documents.
+TARGET = 100_000
 
 
 def tokens(text: str) -> list[str]:
@@ -79,16 +81,25 @@ class Coder(dict):
         return np.concatenate([[0], ids[:-1]]) * SIZE + ids if len(ids) else ids
 
 
+def target_ids(good: DataFrame, most: int = TARGET) -> np.ndarray:
+    """The ids of the target documents, sorted: all of ``good``, or the ``most`` with the smallest hash if there are more."""
+    ids = good.select(F.col("doc_id").cast("bigint").alias("doc_id")).where("doc_id is not null").distinct()
+    return np.sort(np.array([r.doc_id for r in ids.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most).collect()], dtype=np.int64))
+
+
 def counts(docs: DataFrame, good: DataFrame, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """Dense (SIZE, SIZE) counts over target and all documents. ``good``: doc_id of the target documents."""
-    shared = docs.sparkSession.sparkContext.broadcast(words)
-    marked = docs.select("doc_id", "text").join(good.select("doc_id").where("doc_id is not null").distinct().withColumn("good", F.lit(True)), "doc_id", "left")
+    """Dense (SIZE, SIZE) counts over target and all documents. ``good``: doc_id of the target documents.
+    The target's ids are broadcast, at most TARGET of them, so no text is shuffled."""
+    shared = docs.sparkSession.sparkContext.broadcast((words, target_ids(good)))
 
     def count(batches):
-        coder = Coder(shared.value)
+        words, ids = shared.value
+        coder = Coder(words)
         seen = np.zeros((2, SIZE * SIZE), dtype=np.int32)
         for b in batches:
-            for text, is_good in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+            mine = b.column(1).fill_null(0).to_numpy(zero_copy_only=False)
+            is_in = np.isin(mine, ids) & b.column(1).is_valid().to_numpy(zero_copy_only=False)
+            for text, is_good in zip(b.column(0).to_pylist(), is_in.tolist(), strict=True):
                 if text:
                     got, n = np.unique(coder.pairs(text), return_counts=True)
                     seen[0, got] += n.astype(np.int32)
@@ -104,7 +115,7 @@ def counts(docs: DataFrame, good: DataFrame, words: list[str]) -> tuple[np.ndarr
             if b.num_rows:
                 yield pa.RecordBatch.from_arrays([pa.array([b.column(0).to_numpy().tobytes()]), pa.array([b.column(1).to_numpy().tobytes()]), pa.array([b.column(2).to_numpy().tobytes()])], names=["cell", "n", "n_good"])
 
-    summed = marked.select("text", "good").mapInArrow(count, "cell int, n bigint, n_good bigint").groupBy("cell").agg(F.sum("n").alias("n"), F.sum("n_good").alias("n_good"))
+    summed = docs.select("text", F.col("doc_id").cast("bigint").alias("doc_id")).mapInArrow(count, "cell int, n bigint, n_good bigint").groupBy("cell").agg(F.sum("n").alias("n"), F.sum("n_good").alias("n_good"))
     target, every = np.zeros(SIZE * SIZE), np.zeros(SIZE * SIZE)
     for r in summed.mapInArrow(pack, "cell binary, n binary, n_good binary").toLocalIterator():  # at most SIZE squared cells
         cell = np.frombuffer(r.cell, dtype=np.int32)
