@@ -11,6 +11,7 @@ from dataclasses import dataclass, replace
 from functools import cached_property
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -21,6 +22,7 @@ from ..session import cut, small
 from .series import lists, matrix
 
 STRIDE = 8
+FEW_WORDS = 50_000
 SUMMARY = "series_id bigint, paa array<double>, word array<int>, bucket int"
 
 
@@ -51,8 +53,41 @@ def path_bits(word, cfg: IndexConfig):
     return F.concat(*bits)
 
 
+def subtree(words: np.ndarray, counts: np.ndarray, cfg: IndexConfig, path: str = "", depth: int = 0) -> list[tuple[str, int]]:
+    """(path, items) of all nodes of one bucket's round-robin tree, built by one worker."""
+    out, work = [], [(path, depth, np.arange(len(words)))]
+    while work:
+        path, d, rows = work.pop()
+        n = int(counts[rows].sum())
+        out.append((path, n))
+        if n > cfg.theta and d < cfg.max_depth:
+            bit = (words[rows, d % cfg.w] >> (cfg.bits - 2 - d // cfg.w)) & 1
+            work += [(path + "1", d + 1, rows[bit == 1]), (path + "0", d + 1, rows[bit == 0])]
+    return out
+
+
+def _round_robin_few(words: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """The trees of at most FEW_WORDS distinct words, one task a bucket."""
+
+    def build(pdf: pd.DataFrame) -> pd.DataFrame:
+        nodes = subtree(np.stack(pdf.word.to_numpy()), pdf.n.to_numpy(), cfg)
+        return pd.DataFrame({"bucket": int(pdf.bucket.iloc[0]), "path": [p for p, _ in nodes], "n_items": [n for _, n in nodes]})
+
+    return node_shapes(words.groupBy("bucket").applyInPandas(build, "bucket int, path string, n_items bigint"), cfg)
+
+
+def node_shapes(counts: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """Adds the split segment and the bits of each segment, which round-robin depth gives."""
+    depth = F.length("path")
+    seg = F.when((F.col("n_items") > cfg.theta) & (depth < cfg.max_depth), depth % cfg.w).cast("int")
+    used = F.transform(F.sequence(F.lit(0), F.lit(cfg.w - 1)), lambda j: (1 + F.floor((depth + cfg.w - 1 - j) / cfg.w)).cast("int"))
+    return counts.select("bucket", "path", "n_items", seg.alias("seg_split"), used.alias("bits"))
+
+
 def _round_robin(words: DataFrame, cfg: IndexConfig) -> DataFrame:
-    """(bucket, path, n_items, splits) of all nodes."""
+    """(bucket, path, n_items, splits) of all nodes, level by level; a checked small number of words is built at once."""
+    if words.limit(FEW_WORDS + 1).count() <= FEW_WORDS:
+        return _round_robin_few(words, cfg)
     paths = cut(words.select("bucket", path_bits(F.col("word"), cfg).alias("bits"), "n").groupBy("bucket", "bits").agg(F.sum("n").alias("n")))
     roots = paths.groupBy("bucket").agg(F.sum("n").alias("n_items")).select("bucket", F.lit("").alias("path"), "n_items")
     parts, alive, depth = [roots], roots, 0
@@ -76,10 +111,7 @@ def _round_robin(words: DataFrame, cfg: IndexConfig) -> DataFrame:
     nodes = parts[0]
     for p in parts[1:]:
         nodes = nodes.unionByName(p)
-    depth_of = F.length("path")
-    seg = F.when((F.col("n_items") > cfg.theta) & (depth_of < cfg.max_depth), depth_of % cfg.w)
-    used = F.transform(F.sequence(F.lit(0), F.lit(cfg.w - 1)), lambda j: (1 + F.floor((depth_of + cfg.w - 1 - j) / cfg.w)).cast("int"))
-    return nodes.select("bucket", "path", "n_items", seg.cast("int").alias("seg_split"), used.alias("bits"))
+    return node_shapes(nodes, cfg)
 
 
 def _balanced(words: DataFrame, cfg: IndexConfig) -> DataFrame:
@@ -113,10 +145,12 @@ def in_order_key(path="path"):
     return F.concat(F.translate(path, "01", "az"), F.lit("m"))
 
 
-def populate(summaries: DataFrame, cfg: IndexConfig) -> tuple[DataFrame, DataFrame]:
-    """(nodes, assignments): the whole forest, and the leaf of every series."""
+def populate(summaries: DataFrame, cfg: IndexConfig, raw: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+    """(nodes, assignments): the whole forest, and the leaf of every series. ``raw``: a node table built elsewhere."""
     words = summaries.groupBy("bucket", "word").agg(F.count(F.lit(1)).alias("n"))
-    raw = cut(_round_robin(words, cfg) if cfg.split_policy == "round_robin" else _balanced(words, cfg))
+    if raw is None:
+        raw = _round_robin(words, cfg) if cfg.split_policy == "round_robin" else _balanced(words, cfg)
+    raw = cut(raw)
     raw = raw.withColumns({"depth": F.length("path"), "is_leaf": F.col("seg_split").isNull()})
     # nodes under a left child, counted at the parent
     above = raw.where("depth > 0").select("bucket", F.explode(F.transform(F.sequence(F.lit(0), F.col("depth") - 1), lambda d: F.struct(F.substring("path", F.lit(1), d).alias("p"), F.substring("path", d + 1, F.lit(1)).alias("side")))).alias("a"))

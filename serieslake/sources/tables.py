@@ -43,8 +43,7 @@ def validate_series(series: DataFrame, n: int) -> tuple[DataFrame, DataFrame]:
 
 
 def write_f32(series: DataFrame, path: str, n: int) -> None:
-    """Raw files of little-endian float32 rows, one a partition, in id order; ids are not kept."""
-    folder = path
+    """Rows of little-endian float32 in id order, as base64 lines, which every Spark file system can write; ids are not kept."""
 
     def pack(batches):
         for b in batches:
@@ -52,12 +51,12 @@ def write_f32(series: DataFrame, path: str, n: int) -> None:
             yield pa.RecordBatch.from_arrays([pa.array([v.astype("<f4").tobytes()])], names=["content"])
 
     packed = series.orderBy("series_id").select("values").mapInArrow(pack, "content binary")
-    # the text of a binary file goes through base64 lines, which every Spark file system can write
-    packed.select(F.base64("content").alias("value")).write.mode("overwrite").text(folder)
+    packed.select(F.regexp_replace(F.base64("content"), "[\r\n]", "").alias("value")).write.mode("overwrite").text(path)
 
 
-def read_f32(spark: SparkSession, path: str, n: int) -> DataFrame:
-    """(position, values) of the files of :func:`write_f32`; position counts rows in file order."""
+def read_f32(spark: SparkSession, path: str, n: int, raw: bool = False) -> DataFrame:
+    """(file, line, row, values) of the files of :func:`write_f32`, or of raw binary files of float32 rows
+    (``raw``, one line a file; files of a few hundred MB at most)."""
 
     def unpack(batches):
         for b in batches:
@@ -65,6 +64,9 @@ def read_f32(spark: SparkSession, path: str, n: int) -> DataFrame:
                 v = np.frombuffer(data, dtype="<f4").reshape(-1, n).astype(np.float64)
                 yield pa.RecordBatch.from_arrays([pa.array([name] * len(v)), pa.array([at] * len(v), pa.int64()), pa.array(range(len(v)), pa.int64()), pa.array(list(v), pa.list_(pa.float64()))], names=["file", "line", "row", "values"])
 
+    if raw:
+        lines = spark.read.format("binaryFile").load(path).select(F.col("path").alias("file"), F.lit(0).cast("bigint").alias("line"), "content")
+        return lines.mapInArrow(unpack, "file string, line bigint, row bigint, values array<double>")
     lines = spark.read.text(path).select(F.input_file_name().alias("file"), F.monotonically_increasing_id().alias("line"), F.unbase64("value").alias("content"))
     return lines.mapInArrow(unpack, "file string, line bigint, row bigint, values array<double>")
 
