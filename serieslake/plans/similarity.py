@@ -138,9 +138,9 @@ def prefix_sum_events(t: Tables):
 grid AS (SELECT CAST(unnest(generate_series((SELECT min(d) FROM day), (SELECT max(d) FROM day), INTERVAL 1 DAY)) AS DATE) AS d),
 filled AS (SELECT grid.d, coalesce(total, 0.0) AS total FROM grid LEFT JOIN day ON grid.d = day.d),
 r AS (SELECT date_diff('day', (SELECT min(d) FROM day), d) AS i, sum(total - (SELECT avg(total) FROM filled)) OVER (ORDER BY d ROWS UNBOUNDED PRECEDING) AS running FROM filled)
-SELECT i AS series_id, round(round(running, 4), 2) AS last FROM r WHERE i >= 255""")
+SELECT i AS series_id, round(running, 0) AS last FROM r WHERE i >= 255""")
 def daily_orders_series(t: Tables):
-    return C.series(t, "daily256").select("series_id", F.round(F.get("values", F.lit(255)), 2).alias("last"))
+    return C.series(t, "daily256").select("series_id", F.round(F.get("values", F.lit(255)), 0).alias("last"))
 
 
 # --- summaries ----------------------------------------------------------------------------------

@@ -71,10 +71,12 @@ def read_f32(spark: SparkSession, path: str, n: int, raw: bool = False) -> DataF
     return lines.mapInArrow(unpack, "file string, line bigint, row bigint, values array<double>")
 
 
-def gaussian(seed: int, *keys) -> F.Column:
-    """A standard normal number that depends on nothing but seed and keys (Box-Muller on hashes), so a retried task repeats it."""
-    u, v = (F.shiftrightunsigned(F.xxhash64(F.lit(seed), F.lit(k), *keys), 11).cast("double") / float(1 << 53) for k in (1, 2))
-    return F.sqrt(-2 * F.log(F.greatest(u, F.lit(1e-300)))) * F.cos(2 * np.pi * v)
+def gaussian_rows(ids: np.ndarray, n: int, seed: int) -> np.ndarray:
+    """(ids, n) standard normal numbers that depend on nothing but seed, id and place (Box-Muller on hashes), so a retried task repeats them."""
+    with np.errstate(over="ignore"):
+        at = ids.astype(np.uint64)[:, None] * np.uint64(n) + np.arange(n, dtype=np.uint64)[None]
+        u, v = (_unit_hash(at, seed * 2 + k) for k in (0, 1))
+    return np.sqrt(-2 * np.log(np.maximum(u, 1e-300))) * np.cos(2 * np.pi * v)
 
 
 def random_walks(spark: SparkSession, count: int, n: int, seed: int = 42, partitions: int | None = None) -> DataFrame:
@@ -82,12 +84,8 @@ def random_walks(spark: SparkSession, count: int, n: int, seed: int = 42, partit
     ids = spark.range(0, count, 1, partitions) if partitions else spark.range(count)
 
     def walk(batches):
-        t = np.arange(n, dtype=np.uint64)
         for b in batches:
-            i = b.column(0).to_numpy().astype(np.uint64)
-            with np.errstate(over="ignore"):
-                u, v = (_unit_hash(i[:, None] * np.uint64(n) + t[None], seed * 2 + k) for k in (0, 1))
-            steps = np.sqrt(-2 * np.log(np.maximum(u, 1e-300))) * np.cos(2 * np.pi * v)
+            steps = gaussian_rows(b.column(0).to_numpy(), n, seed)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(list(np.cumsum(steps, axis=1)), pa.list_(pa.float64()))], names=["series_id", "values"])
 
     return ids.mapInArrow(walk, SERIES)
@@ -102,11 +100,18 @@ def _unit_hash(x: np.ndarray, salt: int) -> np.ndarray:
 
 def noisy_queries(series: DataFrame, sigma: float, count: int, seed: int = 42) -> DataFrame:
     """(query_id, values): ``count`` members in hash order with N(0, sigma^2) added to each z-normalised point."""
-    from ..functions import summaries as S
+    from ..functions.summaries import znorm_rows
 
     picked = series.withColumn("_h", F.xxhash64(F.lit(seed), "series_id")).orderBy("_h", "series_id").limit(count)
-    noise = F.transform(S.znorm(F.col("values")), lambda x, i: x + F.lit(sigma) * gaussian(seed, F.col("series_id"), i))
-    return picked.select(F.col("series_id").alias("query_id"), noise.alias("values"))
+
+    def add(batches):
+        for b in batches:
+            if b.num_rows:
+                x = znorm_rows(np.stack(b.column(1).to_numpy(zero_copy_only=False)))
+                x = x + sigma * gaussian_rows(b.column(0).to_numpy(), x.shape[1], seed)
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(list(x), pa.list_(pa.float64()))], names=["query_id", "values"])
+
+    return picked.select("series_id", "values").mapInArrow(add, "query_id bigint, values array<double>")
 
 
 def materialize(df: DataFrame) -> None:
