@@ -152,9 +152,9 @@ def znorm_stats(t: Tables):
     return C.series(t, "walk64").withColumn("z", z).select("series_id", F.round(F.aggregate(F.transform("z", lambda x: x * x), F.lit(0.0), lambda a, x: a + x), 6).alias("norm2"), F.round(F.get("z", F.lit(0)), 6).alias("first"))
 
 
-@query("WITH " + ctes("walk64") + " SELECT series_id, CAST(generate_subscripts(paa, 1) - 1 AS BIGINT) AS seg, round(unnest(paa), 6) AS mean FROM p")
+@query("WITH " + ctes("walk64") + " SELECT series_id, CAST(generate_subscripts(paa, 1) - 1 AS BIGINT) AS seg, unnest(paa) AS mean FROM p")
 def paa8(t: Tables):
-    return _summaries(t, "walk64").select("series_id", F.posexplode("paa").alias("seg", "mean")).select("series_id", F.col("seg").cast("bigint").alias("seg"), F.round("mean", 6).alias("mean"))
+    return _summaries(t, "walk64").select("series_id", F.posexplode("paa").alias("seg", "mean")).select("series_id", F.col("seg").cast("bigint").alias("seg"), "mean")
 
 
 _WORDS = "list_aggregate(list_transform(word, lambda x: CAST(x AS VARCHAR)), 'string_agg', ',') AS word"
