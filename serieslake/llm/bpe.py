@@ -71,6 +71,31 @@ class Vocabulary:
         return out + self.words.findall(text[at:])
 
 
+class WordTable(dict):
+    """Word -> (ids, ids as text, bytes of the pieces that the ids join to). Holds the job's frequent words and the
+    task's own; beyond OWN own words these start anew."""
+
+    def __init__(self, v: Vocabulary, common: dict[str, tuple[int, ...]]):
+        super().__init__()
+        self.v, self.common, self.room = v, common, 0
+        self._renew()
+
+    def _renew(self):
+        self.clear()
+        self.update((w, self._entry(ids)) for w, ids in self.common.items())
+        self.room = OWN
+
+    def _entry(self, ids: tuple[int, ...]):
+        return ids, ",".join(map(str, ids)), b"".join(map(self.v.pieces.__getitem__, ids))
+
+    def __missing__(self, word: str):
+        if not self.room:
+            self._renew()
+        self.room -= 1
+        got = self[word] = self._entry((self.v.special[word],) if word in self.v.special else self.v.encode_word(word))
+        return got
+
+
 def word_counts(docs: DataFrame, path: str) -> DataFrame:
     """(word, n): how often each word occurs; counted per task before the shuffle."""
 
@@ -114,34 +139,22 @@ def encode_decode(docs: DataFrame, path: str | None = None, head: int = HEAD, ke
     shared = spark.sparkContext.broadcast(word_table(docs, path, head))
 
     def run():
-        v, common, own = Vocabulary(path), shared.value, {}
-        piece, number = v.pieces, {i: str(i) for i in v.pieces}
-
-        def ids_of(word):
-            got = common.get(word) or own.get(word)
-            if got is None:
-                if len(own) >= OWN:
-                    own.clear()
-                got = own[word] = (v.special[word],) if word in v.special else v.encode_word(word)
-            return got
+        table = WordTable(Vocabulary(path), shared.value)
 
         def work(texts):
-            n, ids_sha, text_sha, ids_out, texts_out = [], [], [], [], []
+            out = [[] for _ in range(3 + with_ids + with_text)]
             for text in texts:
-                ids = list(chain.from_iterable(map(ids_of, v.split(text)))) if text else []
-                decoded = b"".join(map(piece.__getitem__, ids))
+                words = list(map(table.__getitem__, table.v.split(text))) if text else []
+                decoded = b"".join([w[2] for w in words])
                 try:
                     decoded.decode()
                 except UnicodeDecodeError:
                     decoded = decoded.decode("utf-8", "replace").encode()
-                n.append(len(ids))
-                ids_sha.append(sha(",".join(map(number.__getitem__, ids))))
-                text_sha.append(sha(decoded))
-                if with_ids:
-                    ids_out.append(ids)
-                if with_text:
-                    texts_out.append(decoded.decode())
-            return [n, ids_sha, text_sha] + [ids_out] * with_ids + [texts_out] * with_text
+                row = [sum([len(w[0]) for w in words]), sha(",".join([w[1] for w in words])), sha(decoded)]
+                row += [list(chain.from_iterable([w[0] for w in words]))] * with_ids + [decoded.decode() if with_text else None] * with_text
+                for col, x in zip(out, row, strict=True):
+                    col.append(x)
+            return out
 
         return work
 
