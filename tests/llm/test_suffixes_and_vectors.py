@@ -58,6 +58,17 @@ def test_removed_bytes_equal_brute_force(spark, seed, monkeypatch):
     compare(spark, planted(seed))
 
 
+def test_hot_grams_are_shared_out(spark, monkeypatch):
+    monkeypatch.setattr(suffixes, "SUFFIX_BYTES", 1500)
+    rng = random.Random(8)
+    word = lambda: "".join(rng.choice("abcde ") for _ in range(rng.randint(1, 30)))
+    hot = "this line stands in very many documents"
+    rows = [(i, rng.choice(["", word(), "same before "]) + hot + rng.choice(["", word(), " same after and more of it"])) for i in range(150)]
+    df = spark.createDataFrame([(d, t, "x") for d, t in rows], DOCS)
+    assert suffixes.splitters(df, 150, 12)[1]
+    compare(spark, rows)
+
+
 def test_documents_of_the_small_tables(spark, sf):
     compare(spark, [(r.doc_id, r.text) for r in spark.read.parquet(f"{sf}/documents.parquet").collect()])
 
