@@ -369,6 +369,13 @@ def undone_parts(t: Tables):
     return _helped(t)[1].select("part_id", "done")
 
 
+@query("WITH " + ctes("walk64") + f" SELECT series_id, {_WORDS} FROM s")
+def traverse_groups(t: Tables):
+    """Summaries by chunks and groups with one late worker."""
+    stage, _ = P.traverse_collection(C.series(t, "walk64"), "series_id", 3, 2, lambda df: X.summarize(df, C.CONFIGS["walk64"]), fault=P.Fault({0: 1.0}))
+    return stage.read().select("series_id", _word().alias("word"))
+
+
 @query(sql("walk64", "SELECT count(*) AS rows FROM base"))
 def helped_dedup(t: Tables):
     stage, _, _ = _helped(t)
