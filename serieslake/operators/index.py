@@ -200,7 +200,10 @@ def assign(words: DataFrame, summaries: DataFrame, nodes: DataFrame, cfg: IndexC
     leaves = nodes.where("is_leaf")
     if cfg.split_policy == "round_robin":
         depths = [r[0] for r in leaves.select("depth").distinct().orderBy("depth").collect()]  # at most max_depth + 1 rows
-        probes = words.select("bucket", "word", F.explode(F.transform(F.array(*map(F.lit, depths)) if depths else F.array(), lambda d: F.substring(path_bits(F.col("word"), cfg), F.lit(1), d))).alias("path"))
+        if not depths:
+            return summaries.select("series_id", F.lit(None).cast("bigint").alias("leaf_id")).limit(0)
+        bits = words.select("bucket", "word", path_bits(F.col("word"), cfg).alias("_bits"))
+        probes = bits.select("bucket", "word", F.explode(F.array(*(F.substring("_bits", 1, d) for d in depths))).alias("path"))
         found = probes.join(leaves.select("bucket", "path", "leaf_id"), ["bucket", "path"]).select("word", "leaf_id")
     else:
         # the prefixes of a word under each shape of bits that leaves have

@@ -21,6 +21,8 @@ from .index import SeriesIndex
 from .series import matrix
 
 MAX_QUERIES = 10_000
+#: Pairs that are few enough to be settled in one last wave.
+LAST_WAVE = 200_000
 ANSWER = "query_id bigint, series_id bigint, dist double"
 
 
@@ -177,14 +179,17 @@ def knn(index: SeriesIndex, queries: DataFrame, k: int = 1, levelwise: bool = Fa
     bsf = _kth(best, q, k)
     leaves = prune(index, q, bsf, levelwise)
     survivors = cut(enqueue(_item_bounds(index, q, bsf, leaves), index.cfg.queues))
-    done, size = 0, first_wave
-    most = survivors.agg(F.max("rank")).first()[0] or 0
-    while done < most:
-        upto = most if index.cfg.waves == "one" else done + size
-        limits = queries.sparkSession.createDataFrame(list(zip(q.ids.tolist(), bsf.tolist(), strict=True)), "query_id bigint, bsf double") if len(q.ids) else None
-        if limits is None:
-            break
-        wave = survivors.where((F.col("rank") > done) & (F.col("rank") <= upto)).join(F.broadcast(limits), "query_id").where(F.col("lb") * (1 - index.cfg.slack) <= F.col("bsf"))
+    most, size, done = survivors.agg(F.max("rank")).first()[0] or 0, first_wave, 0
+    upto = most if index.cfg.waves == "one" else size
+    while done < most and len(q.ids):
+        limits = queries.sparkSession.createDataFrame(list(zip(q.ids.tolist(), bsf.tolist(), strict=True)), "query_id bigint, bsf double")
+        alive = survivors.where(F.col("rank") > done).join(F.broadcast(limits), "query_id").where(F.col("lb") * (1 - index.cfg.slack) <= F.col("bsf"))
+        if done:  # what the shrunken best-so-far leaves: nothing ends the search, little is one last wave
+            rest = alive.limit(LAST_WAVE + 1).count()
+            if not rest:
+                break
+            upto = most if rest <= LAST_WAVE else done + size
+        wave = alive.where(F.col("rank") <= upto)
         got = _true_distances(order_queues(wave, index.cfg.queues).select("query_id", "series_id", "leaf_id"), index, q, bsf)
         best = cut(top_k(best.select("query_id", "series_id", "dist").unionByName(got), k))
         bsf = _kth(best, q, k)
