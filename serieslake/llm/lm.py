@@ -17,6 +17,7 @@ tables give no rows or uniform models; other columns are ignored.
 from __future__ import annotations
 
 from collections import Counter
+from collections.abc import Iterator
 from zlib import crc32
 
 import numpy as np
@@ -30,8 +31,8 @@ from .common import map_batches
 WORDS, CLASSES = 1023, 1024
 SIZE = 1 + WORDS + CLASSES
 PRIOR = 50.0
-#: The target model is fitted on at most so many good documents; the background model counts all documents.
-TARGET = 100_000
+#: Good ids of one broadcast; there are as many broadcasts as the ids fill.
+BLOCK_IDS = 1 << 20
 
 
 def tokens(text: str) -> list[str]:
@@ -81,24 +82,46 @@ class Coder(dict):
         return np.concatenate([[0], ids[:-1]]) * SIZE + ids if len(ids) else ids
 
 
-def target_ids(good: DataFrame, most: int = TARGET) -> np.ndarray:
-    """The ids of the target documents, sorted: all of ``good``, or the ``most`` with the smallest hash if there are more."""
+def target_ids(good: DataFrame) -> Iterator[np.ndarray]:
+    """The ids of all target documents in sorted blocks of about BLOCK_IDS; the driver holds one at a time."""
+
+    def pack(batches):
+        for b in batches:
+            if b.num_rows:
+                yield pa.RecordBatch.from_arrays([pa.array([b.column(0).to_numpy().tobytes()])], names=["ids"])
+
     ids = good.select(F.col("doc_id").cast("bigint").alias("doc_id")).where("doc_id is not null").distinct()
-    return np.sort(np.array([r.doc_id for r in ids.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most).collect()], dtype=np.int64))
+    block, n = [], 0
+    for r in ids.mapInArrow(pack, "ids binary").toLocalIterator():
+        block.append(np.frombuffer(r.ids, dtype=np.int64))
+        n += len(block[-1])
+        if n >= BLOCK_IDS:
+            yield np.sort(np.concatenate(block))
+            block, n = [], 0
+    if block:
+        yield np.sort(np.concatenate(block))
+
+
+def among(values: np.ndarray, ids: np.ndarray) -> np.ndarray:
+    """Which values are among the sorted ids."""
+    return ids[np.minimum(np.searchsorted(ids, values), len(ids) - 1)] == values
 
 
 def counts(docs: DataFrame, good: DataFrame, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """Dense (SIZE, SIZE) counts over target and all documents. ``good``: doc_id of the target documents.
-    The target's ids are broadcast, at most TARGET of them, so no text is shuffled."""
-    shared = docs.sparkSession.sparkContext.broadcast((words, target_ids(good)))
+    The target's ids are broadcast in blocks, all of them, so no text is shuffled."""
+    sc = docs.sparkSession.sparkContext
+    shared, blocks = sc.broadcast(words), [sc.broadcast(ids) for ids in target_ids(good)]
 
     def count(batches):
-        words, ids = shared.value
-        coder = Coder(words)
+        coder = Coder(shared.value)
         seen = np.zeros((2, SIZE * SIZE), dtype=np.int32)
         for b in batches:
             mine = b.column(1).fill_null(0).to_numpy(zero_copy_only=False)
-            is_in = np.isin(mine, ids) & b.column(1).is_valid().to_numpy(zero_copy_only=False)
+            is_in = np.zeros(len(mine), dtype=bool)
+            for ids in blocks:
+                is_in |= among(mine, ids.value)
+            is_in &= b.column(1).is_valid().to_numpy(zero_copy_only=False)
             for text, is_good in zip(b.column(0).to_pylist(), is_in.tolist(), strict=True):
                 if text:
                     got, n = np.unique(coder.pairs(text), return_counts=True)

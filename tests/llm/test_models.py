@@ -130,3 +130,17 @@ def test_good_documents_score_lower(spark, sf):
     s = lm.score(both, good).join(both.select("doc_id", "lang"), "doc_id").groupBy("lang").agg(F.avg("score").alias("s")).collect()
     m = {r.lang: r.s for r in s}
     assert m["de"] < m["en"]
+
+
+def test_every_good_document_counts_in_the_target(spark):
+    n = 100_500
+    df = spark.range(n).select(F.col("id").alias("doc_id"), F.lit("a").alias("text"))
+    target, every = lm.counts(df, df.select("doc_id"), ["a"])
+    assert target[0, 1] == every[0, 1] == n
+
+
+def test_good_ids_come_in_blocks_and_none_is_lost(spark, monkeypatch):
+    monkeypatch.setattr(lm, "BLOCK_IDS", 1000)
+    got = list(lm.target_ids(spark.range(-50, 30_000).selectExpr("id AS doc_id").repartition(40)))
+    assert len(got) > 1 and sorted(np.concatenate(got).tolist()) == list(range(-50, 30_000))
+    assert lm.among(np.array([-51, -50, 7]), np.array([-50, 7, 9])).tolist() == [False, True, True]
