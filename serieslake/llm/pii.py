@@ -5,7 +5,9 @@ entity are its patterns. Other identifier-like words are unlabelled instances. O
 graph of patterns and instances Spark repeats: a pattern's confidence is the mean confidence of
 its instances, an unlabelled instance's confidence is one minus the chance that all of its
 patterns are wrong. Patterns that stay above ``CONFIDENT`` with enough different seeds label the
-unlabelled instances they surround. All counts cover all documents; nothing is sampled.
+unlabelled instances they surround; these are seeds of the next pass, until a pass adds no pattern.
+An instance is a word that may be an identifier or a number written in groups. Ordinary words are
+none, whatever surrounds them. All counts cover all documents; nothing is sampled.
 
 Null text is empty text. Repeated rows give repeated results, an empty table gives no rows, a
 null doc_id is kept; other columns are ignored. Spans are code points, end exclusive.
@@ -28,9 +30,11 @@ LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz012345678
 IP = re.compile(r"(?<![0-9])[0-9]+(?:\.[0-9]+)(?:\.[0-9]+)(?:\.[0-9]+)")
 CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
-#: A word that may be an identifier: eight signs or more, with three digits or more.
+#: A word that may be an identifier: eight signs or more, with three digits or more, or with three signs of an address or more inside.
 WORD = re.compile(r"[^\s\"'<>|,;]{8,64}")
-BREAK, DIGITS, DIGIT = re.compile(r"[\s\"'<>|,;]"), re.compile(r"[0-9]{2}"), re.compile(r"[0-9]")
+DIGIT, ADDRESS = re.compile(r"[0-9]"), re.compile(r"[().\[\]{}@_+]")
+#: A number in groups: whole words of digits and few other signs, 7 to 19 digits in all.
+GROUPS = re.compile(r"(?<![^\s\"'<>|,;])[+(]?[0-9]+(?:[\x20./()-]{1,2}[0-9]+)+(?![^\s\"'<>|,;.:!?])")
 ROUNDS, CONFIDENT, SEEDS = 4, 0.8, 5
 SPAN = T.ArrayType(T.StructType([T.StructField("kind", T.StringType()), T.StructField("start", T.LongType()), T.StructField("end", T.LongType()), T.StructField("value", T.StringType()), T.StructField("patterns", T.ArrayType(T.StringType()))]))
 
@@ -85,26 +89,38 @@ def _patterns(text: str, start: int, end: int) -> list[str]:
     return out
 
 
+def instances(text: str) -> list[tuple[int, int]]:
+    """(start, end) of words and grouped numbers that may be identifiers, in order and apart from each other."""
+    groups = []
+    if DIGIT.search(text):
+        groups = [m.span() for m in GROUPS.finditer(text) if " " in m.group() and 7 <= len(DIGIT.findall(m.group())) <= 19]
+    out, k = [], 0
+    for m in WORD.finditer(text):
+        w = m.group()
+        if w.isalpha() or w[:-1].isalpha() or len(DIGIT.findall(w)) < 3 and len(ADDRESS.findall(w[1:-1])) < 3:
+            continue
+        s, e = m.start(), m.end() - (w[-1] in ".:!?")
+        while k < len(groups) and groups[k][1] <= s:
+            k += 1
+        if k == len(groups) or e <= groups[k][0]:
+            out.append((s, e))
+    return sorted(out + groups)
+
+
 def entities(text: str | None) -> tuple[list[tuple[int, str, int]], list[dict]]:
     """Base spans; then these and the unlabelled instances (kind null) with the patterns around them."""
     if not text:
         return [], []
     base = base_spans(text)
     rows = [{"kind": k, "start": s, "end": e, "value": text[s:e], "patterns": _patterns(text, s, e)} for s, k, e in base]
-    done, taken = 0, 0  # where the last instance ended; base spans that end before it
-    for m in DIGITS.finditer(text):  # only words around digits are looked at
-        if m.start() < done:
-            continue
-        before = BREAK.split(text[max(0, m.start() - 64) : m.start()])[-1]
-        s = m.start() - len(before)
-        w = WORD.match(text, s)
-        if not w or w.end() <= m.start() or len(DIGIT.findall(w.group())) < 3:
-            continue
-        done = w.end()
-        e = done - (w.group()[-1] in ".:!?")
+    taken = 0  # base spans that end before the instance
+    for s, e in instances(text):
         while taken < len(base) and base[taken][2] <= s:
             taken += 1
-        if not any(a < e and s < b for a, _, b in base[taken : taken + 8]):
+        k = taken
+        while k < len(base) and base[k][0] < e and base[k][2] <= s:
+            k += 1
+        if k == len(base) or base[k][0] >= e:
             rows.append({"kind": None, "start": s, "end": e, "value": text[s:e], "patterns": _patterns(text, s, e)})
     return base, rows
 
@@ -147,12 +163,27 @@ def confident_patterns(edges: DataFrame) -> DataFrame:
     return graph.groupBy("pattern", "p_kind").agg(F.avg("conf").alias("score")).where(F.col("score") >= CONFIDENT).select("pattern", F.col("p_kind").alias("kind"))
 
 
+def bootstrapped(edges: DataFrame) -> DataFrame:
+    """(pattern, kind) of all passes: instances that a pass accepts are seeds of the next, until none adds a pattern."""
+    edges = cut(edges.distinct())
+    good = cut(confident_patterns(edges))
+    n = good.count()
+    while n:
+        accepted = edges.where("kind is null").join(good.select("pattern", F.col("kind").alias("k")), "pattern").groupBy("value").agg(F.min("k").alias("k"))
+        known = edges.join(accepted, "value", "left").select("pattern", "value", F.coalesce("kind", "k").alias("kind"))
+        good = cut(good.unionByName(confident_patterns(known).join(good, "pattern", "left_anti")))
+        before, n = n, good.count()
+        if n == before:
+            break
+    return good
+
+
 def detect(docs: DataFrame) -> DataFrame:
     """doc_id, text_key, counts, base and all spans (text form) of every row."""
     rows = cut(found(docs))
     ents = rows.where(F.size("entities") > 0).select("doc_id", "text_key", F.explode("entities").alias("e")).select("doc_id", "text_key", "e.*")
     edges = ents.select("doc_id", "text_key", "start", "end", "value", "kind", F.explode("patterns").alias("pattern"))
-    good = confident_patterns(edges.select("pattern", "value", "kind")).select(F.col("pattern").alias("good"), F.col("kind").alias("new_kind"))
+    good = bootstrapped(edges.select("pattern", "value", "kind")).select(F.col("pattern").alias("good"), F.col("kind").alias("new_kind"))
     new = edges.where("kind is null").join(good, F.col("pattern") == F.col("good")).groupBy(F.col("doc_id").alias("d"), F.col("text_key").alias("k")).agg(F.array_sort(F.collect_set(F.struct("start", "end", "new_kind"))).alias("extra"))
     both = rows.join(new, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("text_key") == F.col("k")), "left")
     place = F.create_map(*(x for i, k in enumerate(KINDS) for x in (F.lit(k), F.lit(i))))

@@ -122,6 +122,31 @@ def test_pii_contexts_find_unseen_identifiers(spark):
     assert pii.detect(docs(spark, [])).count() == 0
 
 
+def test_pii_instances_meet_the_stated_rule():
+    def found(t):
+        return [t[s:e] for s, e in pii.instances(t)]
+
+    assert found("badge K4J9X2P7. then jane.doe(at)example.org!") == ["K4J9X2P7", "jane.doe(at)example.org"]
+    assert found("ring 555 123 4567 or (555) 123 4567, state-of-the-art wonderful.") == ["555 123 4567", "(555) 123 4567"]
+    assert found("0049-ABC-77123 555 123 4567x and 1 2 3 4") == ["0049-ABC-77123"]
+    assert [r["value"] for r in pii.entities("mail a.b@c.org or K4J9X2P7")[1]] == ["a.b@c.org", "K4J9X2P7"]
+
+
+def test_pii_accepted_instances_are_seeds(spark):
+    codes = [f"K{i}J9X2P7" for i in range(6)]
+    texts = [f"please call my number +1 (555) 010-{i:04d} today" for i in range(12)]
+    texts += [f"please call my number {c} today" for c in codes] + [f"her new badge code {c} expires" for c in codes]
+    texts += ["her new badge code 0049-XYZ-9 expires", "some other place 0049-XYZ-9 here"]
+    got = {r.doc_id: r.spans for r in pii.detect(docs(spark, texts)).collect()}
+    assert got[12] == "phone:22:30" and got[24] == "phone:19:29" and got[25] == ""
+
+
+def test_pii_obfuscated_mail_after_a_confident_pattern(spark):
+    texts = [f"write me mail to user{i}@example.org soon" for i in range(12)] + ["write me mail to jane.doe(at)example.org soon"]
+    got = {r.doc_id: r.spans for r in pii.detect(docs(spark, texts)).collect()}
+    assert got[12] == "email:17:40"
+
+
 def fp_by_definition(text):
     words = re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), text or ""))
     if not words:
