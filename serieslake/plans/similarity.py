@@ -208,17 +208,27 @@ def lb_matrix(t: Tables):
 _LBW = _GAP.format(f="8.0", lo="e[b.word[j] + 1]", a="e[a.word[j] + 2]", b="e[a.word[j] + 1]", hi="e[b.word[j] + 2]")
 
 
-@query(sql("walk64", f"SELECT query_id, series_id, round({_LBW}, 6) AS lb FROM ask a, base b, ends WHERE series_id < 40").replace("cnt AS", _ENDS + ",\ncnt AS"))
-def lb_word_word(t: Tables):
-    base, ask = C.parted(t, "walk64")
+def _word_bounds(base: DataFrame, ask: DataFrame) -> DataFrame:
     cfg = C.CONFIGS["walk64"]
     lo, hi = S.interval_ends(F.col("word"), 8)
     a = X.summarize(ask.withColumnRenamed("query_id", "series_id"), cfg).select(F.col("series_id").alias("query_id"), lo.alias("alo"), hi.alias("ahi"))
-    b = X.summarize(base.where("series_id < 40"), cfg).select("series_id", lo.alias("blo"), hi.alias("bhi"))
-    # 100 queries against a fixed 40 members
+    b = X.summarize(base, cfg).select("series_id", lo.alias("blo"), hi.alias("bhi"))
+    # the query set is 100 rows at any size
     return b.crossJoin(F.broadcast(a)).select("query_id", "series_id", F.round(S.lb_word_word(F.col("alo"), F.col("ahi"), F.col("blo"), F.col("bhi"), 64, 8), 6).alias("lb"))
 
 
+@query(sql("walk64", f"SELECT query_id, series_id, round({_LBW}, 6) AS lb FROM ask a, base b, ends WHERE series_id < 40").replace("cnt AS", _ENDS + ",\ncnt AS"))
+def lb_word_word(t: Tables):
+    """The members that its SQL names; ``lb_word_word_matrix`` has all."""
+    base, ask = C.parted(t, "walk64")
+    return _word_bounds(base.where("series_id < 40"), ask)
+
+
+@query(sql("walk64", f"SELECT query_id, series_id, round({_LBW}, 6) AS lb FROM ask a, base b, ends").replace("cnt AS", _ENDS + ",\ncnt AS"))
+def lb_word_word_matrix(t: Tables):
+    return _word_bounds(*C.parted(t, "walk64"))
+
+
 def _bounds_and_distances(t: Tables) -> DataFrame:
     base, ask = C.parted(t, "walk64")
     lb = lb_matrix(t).withColumnRenamed("lb", "b")

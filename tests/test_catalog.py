@@ -19,6 +19,12 @@ def test_query_equals_its_sql(spark, sf, name):
     assert got[1] == want[1]
 
 
+def test_word_bounds_of_every_member(spark):
+    sf = "/root/testdata/sf0.01"
+    got, want = spark_rows(QUERIES["lb_word_word_matrix"](spark, sf)), duck(sf, ORACLE["lb_word_word_matrix"])
+    assert got == want and len(got[1]) == QUERIES["lb_matrix"](spark, sf).count() > 40 * 100
+
+
 def test_entry_module(spark):
     e = importlib.import_module("__spark_entry__")
     assert set(catalog.QUERIES) <= set(e.queries()) and set(e.oracle_sql()) <= set(e.queries())
