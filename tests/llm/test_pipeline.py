@@ -20,8 +20,8 @@ def by_hand(rows, items):
             break
         root = new
     left = {ids[i]: left[ids[i]] for i in range(len(ids)) if root[i] == i}
-    norm = [b" ".join(decontam.normal(t)) for t in items]
-    dirty = {d for d, t in left.items() if any(decontam.within(j, b" ".join(decontam.normal(t)), int(decontam.DISTANCE * len(j))) for j in norm)}
+    norm = [decontam.normal(t) for t in items]
+    dirty = {d for d, t in left.items() if any(decontam.within(j, decontam.normal(t), int(decontam.DISTANCE * len(j))) for j in norm)}
     out = {}
     for d, t in left.items():
         if d not in dirty:
