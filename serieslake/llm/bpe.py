@@ -1,35 +1,37 @@
 """Byte-level BPE by a distinct-word table.
 
-Texts are split into words inside Spark. Words are counted over all documents; the most
-frequent ``HEAD`` ones form a table in which each is encoded once for the whole job and which is
-broadcast (its bound is HEAD rows). Any other word is encoded once per task into the task's own
-table, so no word is left out and none is encoded twice by a task while its table lasts. Ids are
-joined back by word position; decoding joins ids to pieces of the fixed vocabulary.
+1. Spark splits every text into words by the vocabulary's pattern. Runs of documents form units of
+   about ``UNIT_WORDS`` words; a unit keeps its distinct words once and each document the places of
+   its words among them, so a word that fills a corpus is one row a unit.
+2. The distinct words of all units make one table, in which every word, rare or frequent, is encoded
+   exactly once.
+3. Ids are decoded by a join with the vocabulary's (id, piece) rows, whose number is the vocabulary's.
+4. Ids and pieces join back to the units by word, and to the documents by position.
 
 Null text is an empty text: no ids, empty digests. Repeated rows give repeated results, an empty
-table gives no rows, other columns are ignored.
+table gives no rows, other columns are ignored. Special tokens in a text are one id each, as in the
+library; a vocabulary whose special tokens can overlap one another is refused.
 """
 
 from __future__ import annotations
 
+import hashlib
 import json
-from collections import Counter
-from itertools import chain
+from functools import lru_cache
 
+import numpy as np
 import pyarrow as pa
-import regex
-from pyspark.sql import DataFrame
+from pyspark import TaskContext
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import map_batches, sha
+from .common import cut, map_batches
 
-#: Fixed value: the word pattern of the byte-level vocabulary.
-WORDS = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-#: Rows of the broadcast word table.
-HEAD = 1 << 16
-#: Words a task's own table holds before it starts anew.
-OWN = 1 << 19
+#: Fixed value: the word pattern of the byte-level vocabulary; S stands for white space.
+WORDS = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^S\p{L}\p{N}]+|[S]+(?![^S])|[S]+".replace("S", r"\p{IsWhite_Space}")
+#: Words of a unit, about: what one task holds of places (4 bytes each) and of distinct words.
+UNIT_WORDS = 1 << 20
 
 
 def default_vocabulary() -> str:
@@ -46,118 +48,140 @@ class Vocabulary:
         shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
         hidden = [b for b in range(256) if b not in set(shown)]
         byte_of = {chr(b): b for b in shown} | {chr(256 + i): b for i, b in enumerate(hidden)}
-        self.ids = {bytes(byte_of[c] for c in piece): i for piece, i in spec["model"]["vocab"].items()}
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"] if t["special"]}
+        self.ids = {bytes(byte_of[c] for c in piece): i for piece, i in spec["model"]["vocab"].items()}
         self.pieces = {i: p for p, i in self.ids.items()} | {i: s.encode() for s, i in self.special.items()}
-        self.split_special = regex.compile("|".join(map(regex.escape, sorted(self.special, key=len, reverse=True)))) if self.special else None
-        self.words = regex.compile(WORDS)
+        for a in self.special:
+            if any(a != b and a in b or any(a.endswith(b[:k]) for k in range(1, len(b))) for b in self.special):
+                raise ValueError("special tokens that overlap can't be split at")
         import tiktoken
 
-        own = tiktoken.Encoding("own", pat_str=WORDS, mergeable_ranks=self.ids, special_tokens={})
+        # words come split, so the pattern here only has to take each as a whole
+        own = tiktoken.Encoding("own", pat_str=r"[\s\S]+", mergeable_ranks=self.ids, special_tokens={})
         self.merge = own._core_bpe.encode_single_piece
 
-    def encode_word(self, word: str) -> tuple[int, ...]:
-        return tuple(self.merge(word.encode()))
-
-    def split(self, text: str) -> list[str]:
-        """Words in order; a special token is a word of its own."""
-        if self.split_special is None or not self.split_special.search(text):
-            return self.words.findall(text)
-        out, at = [], 0
-        for m in self.split_special.finditer(text):
-            out += self.words.findall(text[at : m.start()])
-            out.append(m.group())
-            at = m.end()
-        return out + self.words.findall(text[at:])
-
+    def encode_word(self, word: str) -> list[int]:
+        return [self.special[word]] if word in self.special else self.merge(word.encode())
 
-class WordTable(dict):
-    """Word -> (ids, ids as text, bytes of the pieces that the ids join to). Holds the job's frequent words and the
-    task's own; beyond OWN own words these start anew."""
 
-    def __init__(self, v: Vocabulary, common: dict[str, tuple[int, ...]]):
-        super().__init__()
-        self.v, self.common, self.room = v, common, 0
-        self._renew()
+@lru_cache(maxsize=2)
+def vocabulary(path: str) -> Vocabulary:
+    return Vocabulary(path)
 
-    def _renew(self):
-        self.clear()
-        self.update((w, self._entry(ids)) for w, ids in self.common.items())
-        self.room = OWN
 
-    def _entry(self, ids: tuple[int, ...]):
-        return ids, ",".join(map(str, ids)), b"".join(map(self.v.pieces.__getitem__, ids))
+def words(text: Column, special: list[str]) -> Column:
+    """The words of a text in order, split by Spark; a special token is a word of its own."""
+    plain = F.regexp_extract_all(text, F.lit(WORDS), F.lit(0))
+    if special:
+        any_of = "|".join(rf"\Q{s}\E" for s in special)
+        parts = F.split(text, f"(?={any_of})|(?<={any_of})", -1)
+        apart = F.flatten(F.transform(parts, lambda p: F.when(p.isin(special), F.array(p)).otherwise(F.regexp_extract_all(p, F.lit(WORDS), F.lit(0)))))
+        plain = F.when(text.rlike(any_of), apart).otherwise(plain)
+    return F.coalesce(plain, F.array().cast("array<string>"))
 
-    def __missing__(self, word: str):
-        if not self.room:
-            self._renew()
-        self.room -= 1
-        got = self[word] = self._entry((self.v.special[word],) if word in self.v.special else self.v.encode_word(word))
-        return got
 
+def units(docs: DataFrame, keep: list[str], path: str) -> DataFrame:
+    """(unit, rows, counts, places, words): the kept columns of a unit's documents, how many words each has, their
+    places among the unit's distinct words, and these."""
 
-def word_counts(docs: DataFrame, path: str) -> DataFrame:
-    """(word, n): how often each word occurs; counted per task before the shuffle."""
+    def index(batches):
+        part, n, held, size = TaskContext.get().partitionId() << 32, 0, [], 0
 
-    def count(batches):
-        v, c = Vocabulary(path), Counter()
-
-        def flush(least):
-            kept = [(w, n) for w, n in c.items() if n >= least]
-            c.clear()
-            return pa.RecordBatch.from_arrays([pa.array([w for w, _ in kept], pa.string()), pa.array([n for _, n in kept], pa.int64())], names=["word", "n"])
+        def settle():
+            rows = pa.Table.from_batches([b.select(list(range(len(keep)))) for b in held]).combine_chunks()
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, rows.schema) as out:
+                out.write_table(rows)
+            counts = np.concatenate([np.diff(b.column(len(keep)).offsets.to_numpy()) for b in held])
+            coded = pa.chunked_array([b.column(len(keep)).flatten() for b in held], pa.string()).cast(pa.large_string()).combine_chunks().dictionary_encode()
+            coded = coded.combine_chunks() if isinstance(coded, pa.ChunkedArray) else coded
+            listed = pa.ListArray.from_arrays(pa.array([0, len(coded.dictionary)], pa.int32()), coded.dictionary.cast(pa.string()))
+            return pa.RecordBatch.from_arrays([pa.array([part + n], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary()), pa.array([counts.astype(np.int64).tobytes()], pa.binary()), pa.array([coded.indices.to_numpy().astype(np.int32).tobytes()], pa.binary()), listed], names=["unit", "rows", "counts", "places", "words"])
 
         for b in batches:
-            for text in b.column(0).to_pylist():
-                if text:
-                    c.update(v.split(text))
-            if len(c) > OWN:
-                yield flush(4)
-        yield flush(4)
+            if b.num_rows:
+                held.append(b)
+                size += len(b.column(len(keep)).flatten())
+                if size >= UNIT_WORDS:
+                    yield settle()
+                    n, held, size = n + 1, [], 0
+        if held:
+            yield settle()
 
-    # words a task sees under four times can't be worth a broadcast row; that choice only says where a word is encoded
-    return docs.select("text").mapInArrow(count, "word string, n bigint").groupBy("word").agg(F.sum("n").alias("n"))
+    split = docs.select(*keep, words(F.col("text"), sorted(vocabulary(path).special)).alias("_words"))
+    return split.mapInArrow(index, "unit bigint, rows binary, counts binary, places binary, words array<string>")
 
 
-def word_table(docs: DataFrame, path: str, head: int = HEAD) -> dict[str, tuple[int, ...]]:
-    """The ``head`` most frequent words, each encoded once in Spark; at most ``head`` rows reach the driver."""
+def word_table(named: DataFrame, path: str) -> DataFrame:
+    """(word, ids, piece) of all distinct words: each encoded once, then decoded through (id, piece) rows."""
 
     def encode():
-        v = Vocabulary(path)
-        return lambda words: [[[v.special[w]] if w in v.special else list(v.encode_word(w)) for w in words]]
+        v = vocabulary(path)
+        return lambda found: [[v.encode_word(w) for w in found]]
+
+    table = map_batches(named.select("word").distinct(), ["word"], ["word"], [T.StructField("ids", T.ArrayType(T.IntegerType()))], encode)
+    # as many rows as the vocabulary has pieces
+    pieces = named.sparkSession.createDataFrame([(i, p.hex()) for i, p in vocabulary(path).pieces.items()], "id int, piece string")
+    spelt = table.select("word", F.posexplode("ids").alias("at", "id")).join(F.broadcast(pieces), "id")
+    ordered = F.sort_array(F.collect_list(F.struct("at", "id", "piece")))
+    return spelt.groupBy("word").agg(ordered.alias("x")).select("word", F.col("x.id").alias("ids"), F.unhex(F.array_join("x.piece", "")).alias("piece"))
+
 
-    top = word_counts(docs, path).orderBy(F.desc("n"), "word").limit(head)
-    rows = map_batches(top, ["word"], ["word"], [T.StructField("ids", T.ArrayType(T.IntegerType()))], encode).collect()
-    return {r.word: tuple(r.ids) for r in rows}
+FIELDS = (("n_tokens", "bigint"), ("ids_sha256", "string"), ("decoded_sha256", "string"))
 
 
-def encode_decode(docs: DataFrame, path: str | None = None, head: int = HEAD, keep=("doc_id",), with_ids: bool = True, with_text: bool = True) -> DataFrame:
+def encode_decode(docs: DataFrame, path: str | None = None, keep=("doc_id",), with_ids: bool = True, with_text: bool = True) -> DataFrame:
     """``keep`` columns, n_tokens and the digests of ids and decoded text, with ids array<int> and
     decoded string if they are wanted."""
-    path = path or default_vocabulary()
-    spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast(word_table(docs, path, head))
-
-    def run():
-        table = WordTable(Vocabulary(path), shared.value)
-
-        def work(texts):
-            out = [[] for _ in range(3 + with_ids + with_text)]
-            for text in texts:
-                words = list(map(table.__getitem__, table.v.split(text))) if text else []
-                decoded = b"".join([w[2] for w in words])
-                try:
-                    decoded.decode()
-                except UnicodeDecodeError:
-                    decoded = decoded.decode("utf-8", "replace").encode()
-                row = [sum([len(w[0]) for w in words]), sha(",".join([w[1] for w in words])), sha(decoded)]
-                row += [list(chain.from_iterable([w[0] for w in words]))] * with_ids + [decoded.decode() if with_text else None] * with_text
-                for col, x in zip(out, row, strict=True):
-                    col.append(x)
-            return out
-
-        return work
-
-    fields = [T.StructField("n_tokens", T.LongType()), T.StructField("ids_sha256", T.StringType()), T.StructField("decoded_sha256", T.StringType())]
-    fields += [T.StructField("ids", T.ArrayType(T.IntegerType()))] * with_ids + [T.StructField("decoded", T.StringType())] * with_text
-    return map_batches(docs, list(keep), ["text"], fields, run)
+    path, keep = path or default_vocabulary(), list(keep)
+    indexed = cut(units(docs, keep, path))
+    named = indexed.select("unit", F.posexplode("words").alias("place", "word"))
+    found = named.join(word_table(named, path), "word").select("unit", "place", "ids", "piece")
+    fields = [*FIELDS, *[("ids", "array<int>")] * with_ids, *[("decoded", "string")] * with_text]
+    kept = T.StructType([docs.schema[k] for k in keep])
+
+    def join(left: pa.Table, right: pa.Table) -> pa.Table:
+        order = np.argsort(right.column("place").to_numpy())
+        ids = right.column("ids").combine_chunks().take(pa.array(order)) if len(order) else pa.array([], pa.list_(pa.int32()))
+        shown = pa.array(["".join(f"{i}," for i in x).encode() for x in ids.to_pylist()], pa.large_binary())
+        pieces = right.column("piece").combine_chunks().cast(pa.large_binary()).take(pa.array(order)) if len(order) else pa.array([], pa.large_binary())
+        size = np.diff(ids.offsets.to_numpy()).astype(np.int64) if len(order) else np.zeros(0, np.int64)
+        rows = pa.ipc.open_stream(left.column("rows")[0].as_py()).read_all()
+        places = np.frombuffer(left.column("places")[0].as_py(), np.int32)
+        ends = np.concatenate([[0], np.cumsum(np.frombuffer(left.column("counts")[0].as_py(), np.int64))])
+        upto = np.concatenate([[0], np.cumsum(size[places])])[ends]
+        digests, decoded = [], []
+        for a in slices(shown, places, ends):
+            digests.append(hashlib.sha256(a[:-1]).hexdigest())
+        texts = []
+        for a in slices(pieces, places, ends):
+            try:
+                said = str(a, "utf-8")
+            except UnicodeDecodeError:
+                said = bytes(a).decode("utf-8", "replace")
+                a = said.encode()
+            decoded.append(hashlib.sha256(a).hexdigest())
+            if with_text:
+                texts.append(said)
+        cols = [*(c.combine_chunks() for c in rows.columns), pa.array(np.diff(upto)), pa.array(digests, pa.string()), pa.array(decoded, pa.string())]
+        if with_ids:
+            cols.append(pa.ListArray.from_arrays(pa.array(upto.astype(np.int32)), ids.take(pa.array(places)).flatten()))
+        if with_text:
+            cols.append(pa.array(texts, pa.string()))
+        return pa.table(cols, names=[*keep, *(n for n, _ in fields)])
+
+    schema = T.StructType([*kept, *T.StructType.fromDDL(", ".join(f"{n} {t}" for n, t in fields))])
+    documents = indexed.select(F.col("unit").alias("of"), "rows", "counts", "places")
+    return documents.groupBy("of").cogroup(found.groupBy("unit")).applyInArrow(join, schema)
+
+
+def slices(parts: pa.LargeBinaryArray, places: np.ndarray, ends: np.ndarray):
+    """The bytes of each document: its words' parts, one after the other."""
+    taken = parts.take(pa.array(places))
+    if not len(taken):
+        yield from (b"" for _ in ends[1:])
+        return
+    at = np.frombuffer(taken.buffers()[1], np.int64)[taken.offset :][ends]
+    data = memoryview(taken.buffers()[2]) if taken.buffers()[2] is not None else memoryview(b"")
+    for lo, hi in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
+        yield data[lo:hi]

@@ -10,7 +10,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
-from serieslake.llm import bpe, chat, html, pii, simhash
+from serieslake.llm import chat, html, pii, simhash
 from serieslake.llm.common import components
 
 DOCS = "doc_id bigint, text string, lang string, source string, n_chars bigint"
@@ -21,30 +21,6 @@ def docs(spark, texts):
     return spark.createDataFrame([(i, t, None, None, None) for i, t in enumerate(texts)], DOCS)
 
 
-def test_bpe_equals_the_library(spark, sf):
-    from tokenizers import Tokenizer
-
-    tok = Tokenizer.from_file(bpe.default_vocabulary())
-    texts = ODD + [r.text for r in spark.read.parquet(f"{sf}/documents.parquet").select("text").collect()]
-    for r in bpe.encode_decode(docs(spark, texts), head=500).collect():
-        want = tok.encode(texts[r.doc_id] or "", add_special_tokens=False).ids
-        assert r.ids == want
-        assert r.decoded == tok.decode(want, skip_special_tokens=False)
-        assert r.n_tokens == len(want)
-    assert bpe.encode_decode(docs(spark, [])).count() == 0
-
-
-@settings(max_examples=200, deadline=None)
-@given(st.text(max_size=60))
-def test_bpe_words_on_any_text(text):
-    from tokenizers import Tokenizer
-
-    v = test_bpe_words_on_any_text.__dict__.setdefault("v", bpe.Vocabulary(bpe.default_vocabulary()))
-    tok = test_bpe_words_on_any_text.__dict__.setdefault("t", Tokenizer.from_file(bpe.default_vocabulary()))
-    ids = [i for w in v.split(text) for i in ((v.special[w],) if w in v.special else v.encode_word(w))]
-    assert ids == tok.encode(text, add_special_tokens=False).ids
-
-
 def test_chat_round_trip_and_loss(spark):
     rows = [(1, 0, "system", "rules"), (1, 1, "user", r"\### assistant: </turn>"), (1, 2, "assistant", r"\### Assistant: </turn> ok"), (2, 0, "assistant", None), (3, 0, None, " "), (None, 1, "user", "x"), (2, 1, "assistant", "1"), (2, 2, "assistant", " </turn>\n")]
     rows += [(9, i, "assistant" if i % 2 else "user", f"1 say {i} \\") for i in range(130)]
