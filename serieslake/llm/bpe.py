@@ -2,11 +2,12 @@
 
 1. Spark splits every text into words by the vocabulary's pattern. Runs of documents form units of
    about ``UNIT_WORDS`` words; a unit keeps its distinct words once and each document the places of
-   its words among them, so a word that fills a corpus is one row a unit.
-2. The distinct words of all units make one table, in which every word, rare or frequent, is encoded
-   exactly once.
-3. Ids are decoded by a join with the vocabulary's (id, piece) rows, whose number is the vocabulary's.
-4. Ids and pieces join back to the units by word, and to the documents by position.
+   its words among them, so a word that fills a corpus is one entry a unit.
+2. Units deal their distinct words out by hash. The buckets are the table of the distinct words of
+   all documents: each word, rare or frequent, stands in one bucket and is encoded there exactly once.
+3. A bucket answers a unit in the order in which it was asked, so ids join back to words by position
+   alone, and words to documents by their places.
+4. Ids are decoded by a join with the vocabulary's pieces, which are keyed by id.
 
 Null text is an empty text: no ids, empty digests. Repeated rows give repeated results, an empty
 table gives no rows, other columns are ignored. Special tokens in a text are one id each, as in the
@@ -20,18 +21,20 @@ import json
 from functools import lru_cache
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
+import zstandard
 from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import cut, map_batches
+from .common import cut, gathered
 
 #: Fixed value: the word pattern of the byte-level vocabulary; S stands for white space.
 WORDS = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^S\p{L}\p{N}]+|[S]+(?![^S])|[S]+".replace("S", r"\p{IsWhite_Space}")
-#: Words of a unit, about: what one task holds of places (4 bytes each) and of distinct words.
-UNIT_WORDS = 1 << 20
+#: Words of a unit, about: what one task holds of places (4 bytes each) and of distinct words; bytes of texts for each bucket of the table.
+UNIT_WORDS, BUCKET_BYTES = 1 << 22, 64 << 20
 
 
 def default_vocabulary() -> str:
@@ -80,9 +83,46 @@ def words(text: Column, special: list[str]) -> Column:
     return F.coalesce(plain, F.array().cast("array<string>"))
 
 
-def units(docs: DataFrame, keep: list[str], path: str) -> DataFrame:
-    """(unit, rows, counts, places, words): the kept columns of a unit's documents, how many words each has, their
-    places among the unit's distinct words, and these."""
+def squeeze(*parts: np.ndarray) -> bytes:
+    """Arrays in one compressed string; integers go by planes of bytes, of which the upper ones are mostly zero."""
+    out = []
+    for x in parts:
+        planes = x.astype("<u4").view(np.uint8).reshape(-1, 4).T if x.dtype != np.uint8 else x[None]
+        packed = [zstandard.compress(np.ascontiguousarray(p).tobytes(), 1) for p in planes]
+        out.append(len(packed).to_bytes(1, "little") + b"".join(len(p).to_bytes(8, "little") + p for p in packed))
+    return b"".join(out)
+
+
+def unsqueeze(data: bytes) -> list[np.ndarray]:
+    out, at = [], 0
+    while at < len(data):
+        planes, n, at = [], data[at], at + 1
+        for _ in range(n):
+            size = int.from_bytes(data[at : at + 8], "little")
+            planes.append(np.frombuffer(zstandard.decompress(data[at + 8 : at + 8 + size]), np.uint8))
+            at += 8 + size
+        out.append(np.stack(planes, axis=1).copy().view("<u4").ravel().astype(np.int64) if n == 4 else planes[0])
+    return out
+
+
+def strings(lengths: np.ndarray, data: np.ndarray) -> pa.LargeStringArray:
+    ends = np.concatenate([[0], np.cumsum(lengths, dtype=np.int64)])
+    return pa.LargeStringArray.from_buffers(len(lengths), pa.py_buffer(ends.tobytes()), pa.py_buffer(data.tobytes()))
+
+
+def parts_of(words: pa.LargeStringArray) -> tuple[np.ndarray, np.ndarray]:
+    """(lengths, bytes) of an array without nulls."""
+    if not len(words):
+        return np.zeros(0, np.int64), np.zeros(0, np.uint8)
+    ends = np.frombuffer(words.buffers()[1], np.int64)[words.offset : words.offset + len(words) + 1]
+    data = words.buffers()[2]
+    return np.diff(ends), np.frombuffer(data, np.uint8)[ends[0] : ends[-1]] if data is not None else np.zeros(0, np.uint8)
+
+
+def units(docs: DataFrame, keep: list[str], path: str, buckets: int) -> DataFrame:
+    """(unit, bucket, payload). Of each unit one row of bucket -1 for its documents: their kept columns, how many words
+    each has, the places of these among the unit's distinct words, and where the buckets' answers go; and one
+    row a bucket with the distinct words that it is asked for."""
 
     def index(batches):
         part, n, held, size = TaskContext.get().partitionId() << 32, 0, [], 0
@@ -93,10 +133,20 @@ def units(docs: DataFrame, keep: list[str], path: str) -> DataFrame:
             with pa.ipc.new_stream(sink, rows.schema) as out:
                 out.write_table(rows)
             counts = np.concatenate([np.diff(b.column(len(keep)).offsets.to_numpy()) for b in held])
-            coded = pa.chunked_array([b.column(len(keep)).flatten() for b in held], pa.string()).cast(pa.large_string()).combine_chunks().dictionary_encode()
-            coded = coded.combine_chunks() if isinstance(coded, pa.ChunkedArray) else coded
-            listed = pa.ListArray.from_arrays(pa.array([0, len(coded.dictionary)], pa.int32()), coded.dictionary.cast(pa.string()))
-            return pa.RecordBatch.from_arrays([pa.array([part + n], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary()), pa.array([counts.astype(np.int64).tobytes()], pa.binary()), pa.array([coded.indices.to_numpy().astype(np.int32).tobytes()], pa.binary()), listed], names=["unit", "rows", "counts", "places", "words"])
+            coded = pa.concat_arrays([b.column(len(keep)).flatten().cast(pa.large_string()) for b in held]).dictionary_encode()
+            places, distinct = coded.indices.to_numpy(), coded.dictionary
+            by_count = np.argsort(-np.bincount(places, minlength=len(distinct)), kind="stable")
+            rank = np.empty(len(distinct), dtype=np.int64)
+            rank[by_count] = np.arange(len(distinct))
+            bucket = (pd.util.hash_array(distinct.to_numpy(zero_copy_only=False), categorize=False) % np.uint64(buckets)).astype(np.int64) if len(distinct) else places
+            order = np.argsort(bucket, kind="stable")
+            distinct, bucket = distinct.take(pa.array(order)), bucket[order]
+            cuts = np.concatenate([[0], np.flatnonzero(np.diff(bucket)) + 1, [len(bucket)]]) if len(bucket) else np.zeros(1, np.int64)
+            names, payloads = [-1], [squeeze(np.frombuffer(sink.getvalue(), np.uint8), counts, rank[places], rank[order])]
+            for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+                names.append(int(bucket[lo]))
+                payloads.append(squeeze(*parts_of(distinct.slice(lo, hi - lo))))
+            return pa.RecordBatch.from_arrays([pa.array([part + n] * len(names), pa.int64()), pa.array(names, pa.int32()), pa.array(payloads, pa.binary())], names=["unit", "bucket", "payload"])
 
         for b in batches:
             if b.num_rows:
@@ -109,22 +159,32 @@ def units(docs: DataFrame, keep: list[str], path: str) -> DataFrame:
             yield settle()
 
     split = docs.select(*keep, words(F.col("text"), sorted(vocabulary(path).special)).alias("_words"))
-    return split.mapInArrow(index, "unit bigint, rows binary, counts binary, places binary, words array<string>")
+    return split.mapInArrow(index, "unit bigint, bucket int, payload binary")
 
 
-def word_table(named: DataFrame, path: str) -> DataFrame:
-    """(word, ids, piece) of all distinct words: each encoded once, then decoded through (id, piece) rows."""
+def word_table(asked: DataFrame, path: str) -> DataFrame:
+    """(unit, bucket, payload, n_words): for each unit that asked a bucket the ids of its words, in its order. Every distinct
+    word of a bucket is encoded once; n_words says how many there are, on the first row of a bucket."""
 
-    def encode():
+    def encode(batches):
         v = vocabulary(path)
-        return lambda found: [[v.encode_word(w) for w in found]]
 
-    table = map_batches(named.select("word").distinct(), ["word"], ["word"], [T.StructField("ids", T.ArrayType(T.IntegerType()))], encode)
-    # as many rows as the vocabulary has pieces
-    pieces = named.sparkSession.createDataFrame([(i, p.hex()) for i, p in vocabulary(path).pieces.items()], "id int, piece string")
-    spelt = table.select("word", F.posexplode("ids").alias("at", "id")).join(F.broadcast(pieces), "id")
-    ordered = F.sort_array(F.collect_list(F.struct("at", "id", "piece")))
-    return spelt.groupBy("word").agg(ordered.alias("x")).select("word", F.col("x.id").alias("ids"), F.unhex(F.array_join("x.piece", "")).alias("piece"))
+        def settle(bucket, rows):
+            lists = [strings(*unsqueeze(payload)) for _, payload in rows]
+            coded = pa.concat_arrays(lists).dictionary_encode()
+            ids = pa.array(list(map(v.encode_word, coded.dictionary.to_pylist())), pa.list_(pa.int32()))
+            at = 0
+            for (unit, _), mine in zip(rows, lists, strict=True):
+                got = ids.take(coded.indices.slice(at, len(mine)))
+                n = len(ids) if not at else 0
+                at += len(mine)
+                payload = squeeze(got.value_lengths().to_numpy(), got.flatten().to_numpy())
+                yield pa.RecordBatch.from_arrays([pa.array([unit], pa.int64()), pa.array([bucket], pa.int32()), pa.array([payload], pa.binary()), pa.array([n], pa.int64())], names=["unit", "bucket", "payload", "n_words"])
+
+        yield from gathered(batches, settle)
+
+    dealt = asked.select("bucket", "unit", "payload").repartition("bucket").sortWithinPartitions("bucket", "unit")
+    return dealt.mapInArrow(encode, "unit bigint, bucket int, payload binary, n_words bigint")
 
 
 FIELDS = (("n_tokens", "bigint"), ("ids_sha256", "string"), ("decoded_sha256", "string"))
@@ -134,27 +194,27 @@ def encode_decode(docs: DataFrame, path: str | None = None, keep=("doc_id",), wi
     """``keep`` columns, n_tokens and the digests of ids and decoded text, with ids array<int> and
     decoded string if they are wanted."""
     path, keep = path or default_vocabulary(), list(keep)
-    indexed = cut(units(docs, keep, path))
-    named = indexed.select("unit", F.posexplode("words").alias("place", "word"))
-    found = named.join(word_table(named, path), "word").select("unit", "place", "ids", "piece")
+    size = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    indexed = cut(units(docs, keep, path, 1 + size // BUCKET_BYTES))
+    answers = word_table(indexed.where("bucket >= 0"), path)
     fields = [*FIELDS, *[("ids", "array<int>")] * with_ids, *[("decoded", "string")] * with_text]
     kept = T.StructType([docs.schema[k] for k in keep])
 
     def join(left: pa.Table, right: pa.Table) -> pa.Table:
-        order = np.argsort(right.column("place").to_numpy())
-        ids = right.column("ids").combine_chunks().take(pa.array(order)) if len(order) else pa.array([], pa.list_(pa.int32()))
-        shown = pa.array(["".join(f"{i}," for i in x).encode() for x in ids.to_pylist()], pa.large_binary())
-        pieces = right.column("piece").combine_chunks().cast(pa.large_binary()).take(pa.array(order)) if len(order) else pa.array([], pa.large_binary())
-        size = np.diff(ids.offsets.to_numpy()).astype(np.int64) if len(order) else np.zeros(0, np.int64)
-        rows = pa.ipc.open_stream(left.column("rows")[0].as_py()).read_all()
-        places = np.frombuffer(left.column("places")[0].as_py(), np.int32)
-        ends = np.concatenate([[0], np.cumsum(np.frombuffer(left.column("counts")[0].as_py(), np.int64))])
+        kept_rows, counts, places, rank = unsqueeze(left.column("payload")[0].as_py())
+        rows = pa.ipc.open_stream(kept_rows.tobytes()).read_all()
+        got = [unsqueeze(p) for _, p in sorted(zip(right.column("bucket").to_pylist(), right.column("payload").to_pylist(), strict=True))]
+        length, flat = (np.concatenate([g[i] for g in got]) if got else np.zeros(0, np.int64) for i in (0, 1))
+        ids = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(length)]), pa.int32()), pa.array(flat, pa.int32()))
+        ids = ids.take(pa.array(np.argsort(rank)))
+        pieces, numbers = spelling(path)
+        size = ids.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+        ends = np.concatenate([[0], np.cumsum(counts)])
         upto = np.concatenate([[0], np.cumsum(size[places])])[ends]
-        digests, decoded = [], []
-        for a in slices(shown, places, ends):
-            digests.append(hashlib.sha256(a[:-1]).hexdigest())
-        texts = []
-        for a in slices(pieces, places, ends):
+        tokens = ids.take(pa.array(places)).flatten()
+        digests = [hashlib.sha256(a[:-1]).hexdigest() for a in slices(numbers, tokens, upto)]
+        texts, decoded = [], []
+        for a in slices(pieces, tokens, upto):
             try:
                 said = str(a, "utf-8")
             except UnicodeDecodeError:
@@ -164,24 +224,29 @@ def encode_decode(docs: DataFrame, path: str | None = None, keep=("doc_id",), wi
             if with_text:
                 texts.append(said)
         cols = [*(c.combine_chunks() for c in rows.columns), pa.array(np.diff(upto)), pa.array(digests, pa.string()), pa.array(decoded, pa.string())]
-        if with_ids:
-            cols.append(pa.ListArray.from_arrays(pa.array(upto.astype(np.int32)), ids.take(pa.array(places)).flatten()))
-        if with_text:
-            cols.append(pa.array(texts, pa.string()))
+        cols += [pa.ListArray.from_arrays(pa.array(upto, pa.int32()), tokens)] * with_ids + [pa.array(texts, pa.string())] * with_text
         return pa.table(cols, names=[*keep, *(n for n, _ in fields)])
 
     schema = T.StructType([*kept, *T.StructType.fromDDL(", ".join(f"{n} {t}" for n, t in fields))])
-    documents = indexed.select(F.col("unit").alias("of"), "rows", "counts", "places")
-    return documents.groupBy("of").cogroup(found.groupBy("unit")).applyInArrow(join, schema)
+    documents = indexed.where("bucket < 0").select(F.col("unit").alias("of"), "payload")
+    return documents.groupBy("of").cogroup(answers.groupBy("unit")).applyInArrow(join, schema)
+
+
+@lru_cache(maxsize=2)
+def spelling(path: str) -> tuple[pa.LargeBinaryArray, pa.LargeBinaryArray]:
+    """(bytes, number and comma) of every id; an id is its row."""
+    pieces = vocabulary(path).pieces
+    top = max(pieces) + 1
+    return pa.array([pieces.get(i, b"") for i in range(top)], pa.large_binary()), pa.array([f"{i},".encode() for i in range(top)], pa.large_binary())
 
 
-def slices(parts: pa.LargeBinaryArray, places: np.ndarray, ends: np.ndarray):
-    """The bytes of each document: its words' parts, one after the other."""
-    taken = parts.take(pa.array(places))
+def slices(parts: pa.LargeBinaryArray, tokens: pa.Array, ends: np.ndarray):
+    """The bytes of each document: its tokens' parts, one after the other."""
+    taken = parts.take(tokens)
     if not len(taken):
         yield from (b"" for _ in ends[1:])
         return
     at = np.frombuffer(taken.buffers()[1], np.int64)[taken.offset :][ends]
-    data = memoryview(taken.buffers()[2]) if taken.buffers()[2] is not None else memoryview(b"")
+    data = memoryview(taken.buffers()[2])
     for lo, hi in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
         yield data[lo:hi]

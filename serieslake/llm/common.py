@@ -76,6 +76,20 @@ def pa_type(t: T.DataType) -> pa.DataType:
     return simple[t.simpleString()]
 
 
+def gathered(batches, settle):
+    """Rows come sorted by bucket in column 0; settle(bucket, its rows as lists of the other columns) runs for each."""
+    held, key = None, None
+    for b in batches:
+        for row in zip(*(c.to_pylist() for c in b.columns), strict=True):
+            if row[0] != key:
+                if held:
+                    yield from settle(key, held)
+                held, key = [], row[0]
+            held.append(row[1:])
+    if held:
+        yield from settle(key, held)
+
+
 def components(edges: DataFrame, a: str = "a", b: str = "b", rounds: int = 60) -> DataFrame:
     """Connected components of undirected edges by alternating star contraction.
 
