@@ -84,11 +84,14 @@ def words(text: Column, special: list[str]) -> Column:
 
 
 def squeeze(*parts: np.ndarray) -> bytes:
-    """Arrays in one compressed string; integers go by planes of bytes, of which the upper ones are mostly zero."""
+    """Arrays of small integers in one compressed string: one byte each, and for those from 255 on also four planes of bytes."""
     out = []
     for x in parts:
-        planes = x.astype("<u4").view(np.uint8).reshape(-1, 4).T if x.dtype != np.uint8 else x[None]
-        packed = [zstandard.compress(np.ascontiguousarray(p).tobytes(), 1) for p in planes]
+        planes = [x]
+        if x.dtype != np.uint8:
+            large = x[x >= 255].astype("<u4").view(np.uint8).reshape(-1, 4)
+            planes = [np.minimum(x, 255).astype(np.uint8), *(np.ascontiguousarray(large[:, k]) for k in range(4))]
+        packed = [zstandard.compress(p.tobytes(), 3) for p in planes]
         out.append(len(packed).to_bytes(1, "little") + b"".join(len(p).to_bytes(8, "little") + p for p in packed))
     return b"".join(out)
 
@@ -101,7 +104,11 @@ def unsqueeze(data: bytes) -> list[np.ndarray]:
             size = int.from_bytes(data[at : at + 8], "little")
             planes.append(np.frombuffer(zstandard.decompress(data[at + 8 : at + 8 + size]), np.uint8))
             at += 8 + size
-        out.append(np.stack(planes, axis=1).copy().view("<u4").ravel().astype(np.int64) if n == 4 else planes[0])
+        x = planes[0]
+        if n > 1:
+            x = x.astype(np.int64)
+            x[x == 255] = np.stack(planes[1:], axis=1).copy().view("<u4").ravel()
+        out.append(x)
     return out
 
 
@@ -119,10 +126,15 @@ def parts_of(words: pa.LargeStringArray) -> tuple[np.ndarray, np.ndarray]:
     return np.diff(ends), np.frombuffer(data, np.uint8)[ends[0] : ends[-1]] if data is not None else np.zeros(0, np.uint8)
 
 
+def by_count(often: np.ndarray) -> np.ndarray:
+    """Order from the most frequent on, so that places of words are small numbers."""
+    return np.argsort(-often.astype(np.int64), kind="stable")
+
+
 def units(docs: DataFrame, keep: list[str], path: str, buckets: int) -> DataFrame:
     """(unit, bucket, payload). Of each unit one row of bucket -1 for its documents: their kept columns, how many words
-    each has, the places of these among the unit's distinct words, and where the buckets' answers go; and one
-    row a bucket with the distinct words that it is asked for."""
+    each has, the places of these among the unit's distinct words from the most frequent on, and how often each of these occurs,
+    in the order of buckets; and one row a bucket with the distinct words that it is asked for."""
 
     def index(batches):
         part, n, held, size = TaskContext.get().partitionId() << 32, 0, [], 0
@@ -135,14 +147,14 @@ def units(docs: DataFrame, keep: list[str], path: str, buckets: int) -> DataFram
             counts = np.concatenate([np.diff(b.column(len(keep)).offsets.to_numpy()) for b in held])
             coded = pa.concat_arrays([b.column(len(keep)).flatten().cast(pa.large_string()) for b in held]).dictionary_encode()
             places, distinct = coded.indices.to_numpy(), coded.dictionary
-            by_count = np.argsort(-np.bincount(places, minlength=len(distinct)), kind="stable")
-            rank = np.empty(len(distinct), dtype=np.int64)
-            rank[by_count] = np.arange(len(distinct))
             bucket = (pd.util.hash_array(distinct.to_numpy(zero_copy_only=False), categorize=False) % np.uint64(buckets)).astype(np.int64) if len(distinct) else places
             order = np.argsort(bucket, kind="stable")
             distinct, bucket = distinct.take(pa.array(order)), bucket[order]
+            often = np.bincount(places, minlength=len(order))[order]
+            rank = np.empty(len(order), dtype=np.int64)
+            rank[order[by_count(often)]] = np.arange(len(order))
             cuts = np.concatenate([[0], np.flatnonzero(np.diff(bucket)) + 1, [len(bucket)]]) if len(bucket) else np.zeros(1, np.int64)
-            names, payloads = [-1], [squeeze(np.frombuffer(sink.getvalue(), np.uint8), counts, rank[places], rank[order])]
+            names, payloads = [-1], [squeeze(np.frombuffer(sink.getvalue(), np.uint8), counts, rank[places], often)]
             for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
                 names.append(int(bucket[lo]))
                 payloads.append(squeeze(*parts_of(distinct.slice(lo, hi - lo))))
@@ -201,12 +213,12 @@ def encode_decode(docs: DataFrame, path: str | None = None, keep=("doc_id",), wi
     kept = T.StructType([docs.schema[k] for k in keep])
 
     def join(left: pa.Table, right: pa.Table) -> pa.Table:
-        kept_rows, counts, places, rank = unsqueeze(left.column("payload")[0].as_py())
+        kept_rows, counts, places, often = unsqueeze(left.column("payload")[0].as_py())
         rows = pa.ipc.open_stream(kept_rows.tobytes()).read_all()
         got = [unsqueeze(p) for _, p in sorted(zip(right.column("bucket").to_pylist(), right.column("payload").to_pylist(), strict=True))]
         length, flat = (np.concatenate([g[i] for g in got]) if got else np.zeros(0, np.int64) for i in (0, 1))
         ids = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(length)]), pa.int32()), pa.array(flat, pa.int32()))
-        ids = ids.take(pa.array(np.argsort(rank)))
+        ids = ids.take(pa.array(by_count(often)))
         pieces, numbers = spelling(path)
         size = ids.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
         ends = np.concatenate([[0], np.cumsum(counts)])
