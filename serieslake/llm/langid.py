@@ -5,13 +5,13 @@ is the sum over all its segmentations into pieces, by the forward algorithm; a t
 product over its words (runs of letters, lower case). Piece probabilities are fitted by
 expectation-maximisation over the same sums.
 
-The fit uses a bounded sample: at most ``SAMPLE`` labelled documents a language, those with the
-smallest hash of their id. Prediction reads whole texts of all documents and nothing but text.
+The fit uses a bounded sample: of each language the labelled documents whose hash of the id falls into the
+share that makes about ``SAMPLE`` of them. Prediction reads whole texts of all documents and nothing but text.
 
 Null text or text without a letter is ``und`` with score 0. With no labelled rows all is ``und``.
 Rows with null lang don't train; ties between languages go to the first in order of names;
 repeated rows give repeated results; an empty table gives no rows; other columns are ignored.
-A run of letters over 23 is cut into parts of 23.
+Letters are what Unicode calls so (categories L*). Words of any length are summed whole, very long ones in logarithms.
 """
 
 from __future__ import annotations
@@ -21,16 +21,19 @@ from collections import Counter
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import apart, map_batches
 
-SAMPLE, EM_ROUNDS, LONGEST, WIDTH = 400, 3, 8, 24
+SAMPLE, EM_ROUNDS = 400, 3
 FLOOR = 1e-7
-OWN = 1 << 18
-LETTERS = re.compile(r"[^\W\d_]+")
+#: Words of this many letters or more are summed one by one, in logarithms; words scored at once; words a task remembers.
+LONG, CHUNK, OWN = 64, 4096, 1 << 18
+#: What \w takes for a word's sign though it is no letter: numbers that are no decimal digits.
+NUMBERS = "".join(c for c in map(chr, range(0x110000)) if c.isalnum() and not c.isalpha() and not c.isdecimal())
+LETTERS = re.compile(rf"[^\W\d_{NUMBERS}]+")
 START = "▁"
 
 
@@ -41,23 +44,22 @@ def default_vocabulary() -> str:
 
 
 def words_of(text: str) -> list[str]:
-    found = LETTERS.findall(text.lower())
-    if found and max(map(len, found)) >= WIDTH:
-        found = [w[i : i + WIDTH - 1] for w in found for i in range(0, len(w), WIDTH - 1)]
-    return found
+    return LETTERS.findall(text.lower())
 
 
 class Pieces:
-    """Lower-case letter pieces of at most LONGEST signs, found in words by rolling hashes."""
+    """The vocabulary's pieces that can stand in a word of lower-case letters, found by rolling hashes."""
 
     def __init__(self, path: str):
         import sentencepiece
 
         sp = sentencepiece.SentencePieceProcessor(model_file=path)
         pieces = {sp.id_to_piece(i) for i in range(sp.get_piece_size()) if sp.is_byte(i) == sp.is_control(i) == sp.is_unknown(i)}
-        kept = {p for p in pieces if len(p) <= LONGEST and p == p.lower() and (p.removeprefix(START) == "" or LETTERS.fullmatch(p.removeprefix(START)))} | {START}
+        kept = {p for p in pieces if p == p.lower() and (p.removeprefix(START) == "" or LETTERS.fullmatch(p.removeprefix(START)))} | {START}
         self.names = sorted(kept)
-        self.power = np.array([pow(0x9E3779B97F4A7C15, k + 1, 1 << 64) for k in range(WIDTH)], dtype=np.uint64)
+        self.longest = max(map(len, self.names))
+        self.place = {p: i for i, p in enumerate(self.names)}
+        self.power = np.array([pow(0x9E3779B97F4A7C15, k + 1, 1 << 64) for k in range(self.longest)], dtype=np.uint64)
         keys = np.array([self._key(p) for p in self.names], dtype=np.uint64)
         self.order = np.argsort(keys)
         self.keys = keys[self.order]
@@ -65,16 +67,26 @@ class Pieces:
     def _key(self, piece: str) -> int:
         return sum(ord(c) * int(self.power[k]) for k, c in enumerate(piece)) % (1 << 64)
 
+    def chunks(self, words: list[str]):
+        """(rows, sizes, found) for words under LONG letters, of like length together."""
+        lengths = np.array([len(w) for w in words])
+        order = np.argsort(lengths, kind="stable")
+        order = order[lengths[order] < LONG]
+        for at in range(0, len(order), CHUNK):
+            rows = order[at : at + CHUNK]
+            yield rows, *self.spans([words[k] for k in rows])
+
     def spans(self, words: list[str]):
         """(lengths, [(start, length, rows, piece ids)]): every place where a piece stands in a word."""
         sizes = np.array([len(w) + 1 for w in words])
-        flat = np.frombuffer("".join((START + w).ljust(WIDTH, "\0") for w in words).encode("utf-32-le"), dtype=np.uint32).reshape(-1, WIDTH)
-        cols = [np.ascontiguousarray(flat[:, k]).astype(np.uint64) for k in range(WIDTH)]
+        width = int(sizes.max())
+        flat = np.frombuffer("".join((START + w).ljust(width, "\0") for w in words).encode("utf-32-le"), dtype=np.uint32).reshape(-1, width)
+        cols = [np.ascontiguousarray(flat[:, k]).astype(np.uint64) for k in range(width)]
         found = []
-        for i in range(int(sizes.max())):
+        for i in range(width):
             live = np.flatnonzero(sizes > i)
             h = np.zeros(len(live), dtype=np.uint64)
-            for n in range(1, min(LONGEST, WIDTH - i) + 1):
+            for n in range(1, min(self.longest, width - i) + 1):
                 fits = sizes[live] >= i + n
                 if not fits.all():
                     live, h = live[fits], h[fits]
@@ -83,26 +95,48 @@ class Pieces:
                 h = h + cols[i + n - 1][live] * self.power[n - 1]
                 at = np.minimum(np.searchsorted(self.keys, h), len(self.keys) - 1)
                 hit = self.keys[at] == h
-                found.append((i, n, live[hit], self.order[at[hit]]))
+                if hit.any():
+                    found.append((i, n, live[hit], self.order[at[hit]]))
                 if n == 1 and not hit.all():
                     found.append((i, 1, live[~hit], np.full((~hit).sum(), len(self.names))))
         return sizes, found
 
     def forward(self, sizes, found, probs: np.ndarray) -> np.ndarray:
         """alpha[row, position, language]; ``probs`` has a last row for signs without a piece."""
-        alpha = np.zeros((len(sizes), WIDTH + 1, probs.shape[1]))
+        alpha = np.zeros((len(sizes), int(sizes.max()) + 1, probs.shape[1]))
         alpha[:, 0] = 1
         for i, n, rows, ids in found:  # found is in order of starts, so alpha[i] is complete
             alpha[rows, i + n] += alpha[rows, i] * probs[ids]
         return alpha
 
+    def long_spans(self, word: str) -> list[tuple[int, int, int]]:
+        """(start, end, piece id) of one word."""
+        signs, out = START + word, []
+        for i in range(len(signs)):
+            got = [(i, i + n, self.place[p]) for n in range(1, min(self.longest, len(signs) - i) + 1) if (p := signs[i : i + n]) in self.place]
+            if not got or got[0][1] > i + 1:
+                got.insert(0, (i, i + 1, len(self.names)))
+            out += got
+        return out
+
+    @staticmethod
+    def log_sums(spans, size: int, logs: np.ndarray, backward: bool = False) -> np.ndarray:
+        """Logarithms of the sums over all segmentations up to each position, or from it on."""
+        out = np.full((size + 1, logs.shape[1]), -np.inf)
+        out[size if backward else 0] = 0
+        for i, j, piece in reversed(spans) if backward else spans:
+            a, b = (i, j) if backward else (j, i)
+            out[a] = np.logaddexp(out[a], out[b] + logs[piece])
+        return out
+
     def word_scores(self, words: list[str], probs: np.ndarray) -> np.ndarray:
         out = np.empty((len(words), probs.shape[1]))
-        for at in range(0, len(words), 4096):
-            part = words[at : at + 4096]
-            sizes, found = self.spans(part)
+        for rows, sizes, found in self.chunks(words):
             alpha = self.forward(sizes, found, probs)
-            out[at : at + len(part)] = np.log(np.maximum(alpha[np.arange(len(part)), sizes], 1e-300))
+            out[rows] = np.log(np.maximum(alpha[np.arange(len(rows)), sizes], 1e-300))
+        for k, w in enumerate(words):
+            if len(w) >= LONG:
+                out[k] = self.log_sums(self.long_spans(w), len(w) + 1, np.log(probs))[-1]
         return out
 
     def fit(self, counts: list[dict[str, int]]) -> np.ndarray:
@@ -111,7 +145,8 @@ class Pieces:
         columns = []
         for words in counts:
             names, weights = list(words), np.array(list(words.values()), dtype=float)
-            parts = [(slice(at, at + 4096), *self.spans(names[at : at + 4096])) for at in range(0, len(names), 4096)]
+            parts = list(self.chunks(names))
+            longs = [(k, len(w) + 1, self.long_spans(w)) for k, w in enumerate(names) if len(w) >= LONG]
             probs = np.full((n + 1, 1), 1.0 / n)
             for _ in range(EM_ROUNDS):
                 expected = np.full(n + 1, 0.5)
@@ -125,6 +160,11 @@ class Pieces:
                     scale = weights[where] / np.maximum(alpha[rows, sizes], 1e-300)
                     for i, k, r, ids in found:
                         expected += np.bincount(ids, alpha[r, i] * probs[ids, 0] * beta[r, i + k] * scale[r], minlength=n + 1)
+                for k, size, spans in longs:
+                    logs = np.log(probs)
+                    a, b = (self.log_sums(spans, size, logs, back)[:, 0] for back in (False, True))
+                    for i, j, piece in spans:
+                        expected[piece] += weights[k] * np.exp(a[i] + logs[piece, 0] + b[j] - a[size])
                 probs = (expected / expected[:n].sum())[:, None]
                 probs[n] = FLOOR
             columns.append(probs)
@@ -138,10 +178,9 @@ def held_out(doc_id: str = "doc_id"):
 def fit(docs: DataFrame, path: str, sample: int = SAMPLE) -> tuple[list[str], np.ndarray]:
     """(languages, piece probabilities) from the bounded sample of labelled rows that are not held out."""
     labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & ~held_out())
-    first = Window.partitionBy("lang").orderBy("h", "doc_id")
-    ids = labelled.select("lang", "doc_id", F.xxhash64("doc_id").alias("h")).withColumn("r", F.row_number().over(first)).where(F.col("r") <= sample)
-    # at most `sample` ids a language
-    chosen = labelled.select("doc_id", "lang", "text").join(F.broadcast(ids.select("doc_id", "lang").distinct()), ["doc_id", "lang"], "left_semi")
+    sizes = labelled.groupBy("lang").agg(F.count(F.lit(1)).alias("n"))  # one row a language
+    share = F.pmod(F.xxhash64("doc_id"), F.lit(1 << 31)) * F.col("n").cast("double") < F.lit(float(sample << 31))
+    chosen = labelled.select("doc_id", "lang", "text").join(F.broadcast(sizes), "lang").where(share)
 
     def count(batches):
         for b in batches:
