@@ -34,6 +34,7 @@ LONG, CHUNK, OWN = 64, 4096, 1 << 18
 #: What \w takes for a word's sign though it is no letter: numbers that are no decimal digits.
 NUMBERS = "".join(c for c in map(chr, range(0x110000)) if c.isalnum() and not c.isalpha() and not c.isdecimal())
 LETTERS = re.compile(rf"[^\W\d_{NUMBERS}]+")
+SIGNS = re.compile(r"[^\W\d_]+")
 START = "▁"
 
 
@@ -44,7 +45,9 @@ def default_vocabulary() -> str:
 
 
 def words_of(text: str) -> list[str]:
-    return LETTERS.findall(text.lower())
+    text = text.lower()
+    found = SIGNS.findall(text)
+    return found if "".join(found).isalpha() else LETTERS.findall(text)
 
 
 class Pieces:
@@ -63,6 +66,14 @@ class Pieces:
         keys = np.array([self._key(p) for p in self.names], dtype=np.uint64)
         self.order = np.argsort(keys)
         self.keys = keys[self.order]
+        # beginnings of pieces by 20 bits of their hash: what isn't among them isn't looked up or read on
+        begun = np.array([self._key(p[:k]) for p in self.names for k in range(1, len(p) + 1)], dtype=np.uint64)
+        self.begins = np.zeros(1 << 20, dtype=bool)
+        self.begins[self._short(begun)] = True
+
+    @staticmethod
+    def _short(h: np.ndarray) -> np.ndarray:
+        return ((h ^ h >> np.uint64(32)) * np.uint64(0xD6E8FEB86659FD93) >> np.uint64(44)).astype(np.int64)
 
     def _key(self, piece: str) -> int:
         return sum(ord(c) * int(self.power[k]) for k, c in enumerate(piece)) % (1 << 64)
@@ -93,6 +104,10 @@ class Pieces:
                 if not len(live):
                     break
                 h = h + cols[i + n - 1][live] * self.power[n - 1]
+                goes_on = self.begins.take(self._short(h))
+                if n == 1 and not goes_on.all():
+                    found.append((i, 1, live[~goes_on], np.full((~goes_on).sum(), len(self.names))))
+                live, h = live[goes_on], h[goes_on]
                 at = np.minimum(np.searchsorted(self.keys, h), len(self.keys) - 1)
                 hit = self.keys[at] == h
                 if hit.any():
