@@ -23,13 +23,12 @@ from functools import lru_cache
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-import zstandard
 from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import cut, gathered
+from .common import cut, gathered, squeeze, unsqueeze
 
 #: Fixed value: the word pattern of the byte-level vocabulary; S stands for white space.
 WORDS = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^S\p{L}\p{N}]+|[S]+(?![^S])|[S]+".replace("S", r"\p{IsWhite_Space}")
@@ -83,35 +82,6 @@ def words(text: Column, special: list[str]) -> Column:
     return F.coalesce(plain, F.array().cast("array<string>"))
 
 
-def squeeze(*parts: np.ndarray) -> bytes:
-    """Arrays of small integers in one compressed string: one byte each, and for those from 255 on also four planes of bytes."""
-    out = []
-    for x in parts:
-        planes = [x]
-        if x.dtype != np.uint8:
-            large = x[x >= 255].astype("<u4").view(np.uint8).reshape(-1, 4)
-            planes = [np.minimum(x, 255).astype(np.uint8), *(np.ascontiguousarray(large[:, k]) for k in range(4))]
-        packed = [zstandard.compress(p.tobytes(), 3) for p in planes]
-        out.append(len(packed).to_bytes(1, "little") + b"".join(len(p).to_bytes(8, "little") + p for p in packed))
-    return b"".join(out)
-
-
-def unsqueeze(data: bytes) -> list[np.ndarray]:
-    out, at = [], 0
-    while at < len(data):
-        planes, n, at = [], data[at], at + 1
-        for _ in range(n):
-            size = int.from_bytes(data[at : at + 8], "little")
-            planes.append(np.frombuffer(zstandard.decompress(data[at + 8 : at + 8 + size]), np.uint8))
-            at += 8 + size
-        x = planes[0]
-        if n > 1:
-            x = x.astype(np.int64)
-            x[x == 255] = np.stack(planes[1:], axis=1).copy().view("<u4").ravel()
-        out.append(x)
-    return out
-
-
 def strings(lengths: np.ndarray, data: np.ndarray) -> pa.LargeStringArray:
     ends = np.concatenate([[0], np.cumsum(lengths, dtype=np.int64)])
     return pa.LargeStringArray.from_buffers(len(lengths), pa.py_buffer(ends.tobytes()), pa.py_buffer(data.tobytes()))

@@ -5,7 +5,9 @@ from __future__ import annotations
 import hashlib
 from collections.abc import Callable, Iterator, Sequence
 
+import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -76,6 +78,38 @@ def pa_type(t: T.DataType) -> pa.DataType:
     return simple[t.simpleString()]
 
 
+def squeeze(*parts: np.ndarray) -> bytes:
+    """Arrays without negative numbers in one compressed string, by planes of bytes. Signed integers are taken for mostly
+    small: they get one byte each, and four planes more for those from 255 on."""
+    out = []
+    for x in parts:
+        if x.dtype.kind == "u":
+            planes = np.ascontiguousarray(x).view(np.uint8).reshape(-1, x.itemsize).T
+        else:
+            large = x[x >= 255].astype("<u4").view(np.uint8).reshape(-1, 4)
+            planes = [np.minimum(x, 255).astype(np.uint8), *large.T]
+        packed = [zstandard.compress(np.ascontiguousarray(p).tobytes(), 3) for p in planes]
+        out.append(len(packed).to_bytes(1, "little") + b"".join(len(p).to_bytes(8, "little") + p for p in packed))
+    return b"".join(out)
+
+
+def unsqueeze(data: bytes) -> list[np.ndarray]:
+    out, at = [], 0
+    while at < len(data):
+        planes, n, at = [], data[at], at + 1
+        for _ in range(n):
+            size = int.from_bytes(data[at : at + 8], "little")
+            planes.append(np.frombuffer(zstandard.decompress(data[at + 8 : at + 8 + size]), np.uint8))
+            at += 8 + size
+        if n == 5:
+            x = planes[0].astype(np.int64)
+            x[x == 255] = np.stack(planes[1:], axis=1).view("<u4").ravel()
+        else:
+            x = np.stack(planes, axis=1).view(f"<u{n}").ravel()
+        out.append(x)
+    return out
+
+
 def gathered(batches, settle):
     """Rows come sorted by bucket in column 0; settle(bucket, its rows as lists of the other columns) runs for each."""
     held, key = None, None

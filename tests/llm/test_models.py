@@ -3,11 +3,15 @@
 import itertools
 import math
 import random
+from collections import Counter
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from serieslake.llm import decontam, langid, lm
+from serieslake.llm.common import cut
+from serieslake.llm.queries import QUERIES
 
 DOCS = "doc_id bigint, text string, lang string, source string, n_chars bigint"
 
@@ -90,37 +94,68 @@ def test_planted_passages_are_found_and_clean_ones_left(spark, sf):
     assert decontam.contaminated(df, bench.limit(0)).count() == 0
 
 
-def test_cross_entropy_difference_equals_a_plain_computation(spark):
-    rows = [("a b a b c", None), ("b a b", None), (None, None), ("", None), ("c c zzzebra", None)]
-    df = docs(spark, rows)
-    good = spark.createDataFrame([(1,), (1,), (None,)], "doc_id bigint")
-    words = lm.vocabulary(df)
-    assert words == ["b", "a", "c", "zzzebra"]
-    code = {w: i + 1 for i, w in enumerate(words)}
-
-    def model(texts):
-        bi, uni, left = {}, {}, {}
-        for t in texts:
-            ids = [0] + [code[w] for w in t.split()]
-            for v, w in zip(ids, ids[1:]):
-                bi[v, w] = bi.get((v, w), 0) + 1
-                uni[w] = uni.get(w, 0) + 1
-                left[v] = left.get(v, 0) + 1
-        total = sum(uni.values()) + lm.SIZE
-        return lambda v, w: -math.log2((bi.get((v, w), 0) + lm.PRIOR * (uni.get(w, 0) + 1) / total) / (left.get(v, 0) + lm.PRIOR))
-
-    target, every = model(["b a b"]), model([t for t, _ in rows if t])
-    got = {r.doc_id: r for r in lm.score(df, good).collect()}
-    for i, (t, _) in enumerate(rows):
-        ids = [0] + [code[w] for w in (t or "").split()]
-        n = len(ids) - 1
-        assert got[i].n_tokens == n
-        if n:
-            a, b = (sum(m(v, w) for v, w in zip(ids, ids[1:])) / n for m in (target, every))
-            assert abs(got[i].target_loss - a) < 1e-5 and abs(got[i].background_loss - b) < 1e-5
-        else:
-            assert got[i].score is None
-    assert lm.score(docs(spark, []), good).count() == 0
+def by_hand(rows, good):
+    """(target loss, background loss) of each text, straight from the formulas."""
+    said = {i: (t or "").lower().split() for i, t in enumerate(rows)}
+    vocabulary = {w for ws in said.values() for w in ws}
+    total = sum(len(ws) for i, ws in said.items() if i in good)
+
+    def model(ids, scale):
+        pair, single = Counter(), Counter()
+        for i in ids:
+            single[None] += bool(said[i])
+            single.update(said[i])
+            pair.update(zip([None, *said[i]], said[i]))
+        return lambda v, w: -math.log2((scale * pair[v, w] + lm.PRIOR * (scale * single[w] + 1) / (total + len(vocabulary))) / (scale * single[v] + lm.PRIOR))
+
+    every = sum(map(len, said.values()))
+    models = model(good, 1), model(said, total / every if every else 0)
+    return {i: [sum(m(v, w) for v, w in zip([None, *ws], ws)) / len(ws) for m in models] for i, ws in said.items() if ws}
+
+
+@pytest.mark.parametrize("size", [1 << 22, 40])
+def test_cross_entropy_difference_equals_a_plain_computation(spark, monkeypatch, size):
+    monkeypatch.setattr(lm, "UNIT_TOKENS", size)
+    monkeypatch.setattr(lm, "BUCKET_BYTES", 300)
+    rng = random.Random(6)
+    rows = ["a b a b c", "b a b", None, "", "c c zzzebra", "  \n", *(" ".join(rng.choice("abcdefghij") * rng.randrange(1, 4) for _ in range(rng.randrange(40))) for _ in range(80)), "the hot line " * 300, "the hot line " * 300]
+    good = {1, 2, 3, 20, 21, 22, 86}
+    df = spark.createDataFrame([(i, t, 0, "x") for i, t in enumerate(rows)], "doc_id bigint, text string, score int, ids string").repartition(5)
+    labels = spark.createDataFrame([(i,) for i in good] + [(1,), (None,), (999,)], "doc_id bigint")
+    want = by_hand(rows, good)
+    for limit in (1 << 20, 1):
+        monkeypatch.setattr(lm, "BROADCAST_IDS", limit)
+        got = {r.doc_id: r for r in lm.score(df, labels).collect()}
+        assert len(got) == len(rows)
+        for i, t in enumerate(rows):
+            assert got[i].n_tokens == len((t or "").split())
+            if i in want:
+                assert abs(got[i].target_loss - want[i][0]) < 1e-9 and abs(got[i].background_loss - want[i][1]) < 1e-9 and abs(got[i].score - (want[i][0] - want[i][1])) < 1e-9
+            else:
+                assert got[i].score is None and got[i].target_loss is None
+
+
+def test_scores_on_odd_tables(spark, tmp_path):
+    rows = [(None, "a b"), (1, None), (2, "a b a"), (2, "a b a"), (3, "x")]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    df.write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(2, 1, 0), (2, 0, 0), (3, None, 0), (None, 1, 0)], "doc_id bigint, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    got = QUERIES["op9_cross_entropy_difference"](spark, str(tmp_path)).collect()
+    assert len(got) == 5 and {r.doc_id: r.n_tokens for r in got} == {None: 2, 1: 0, 2: 3, 3: 1}
+    scores = {r.doc_id: r.score for r in got}
+    assert scores[2] < scores[3] and scores[1] is None and scores[None] is not None
+    none = spark.createDataFrame([], "doc_id bigint")
+    assert {r.score for r in lm.score(df, none).collect()} == {0.0, None}
+    assert lm.score(df.limit(0), none).count() == 0
+
+
+def test_documents_that_occur_twice_are_scored_apart(spark, sf):
+    d = spark.read.parquet(f"{sf}/documents.parquet").where("length(text) > 2000").select("doc_id", "text").limit(100)
+    twice = d.where("doc_id % 5 = 0")
+    both = cut(d.unionByName(twice.withColumn("doc_id", F.col("doc_id") + 10**6)))
+    s = lm.score(both, d.where("doc_id % 7 = 3")).where("doc_id < 1000000 and doc_id % 7 <> 3").groupBy((F.col("doc_id") % 5 == 0).alias("two")).agg(F.avg("background_loss").alias("b")).collect()
+    m = {r.two: r.b for r in s}
+    assert m[True] < m[False]
 
 
 def test_good_documents_score_lower(spark, sf):
@@ -130,17 +165,3 @@ def test_good_documents_score_lower(spark, sf):
     s = lm.score(both, good).join(both.select("doc_id", "lang"), "doc_id").groupBy("lang").agg(F.avg("score").alias("s")).collect()
     m = {r.lang: r.s for r in s}
     assert m["de"] < m["en"]
-
-
-def test_every_good_document_counts_in_the_target(spark):
-    n = 100_500
-    df = spark.range(n).select(F.col("id").alias("doc_id"), F.lit("a").alias("text"))
-    target, every = lm.counts(df, df.select("doc_id"), ["a"])
-    assert target[0, 1] == every[0, 1] == n
-
-
-def test_good_ids_come_in_blocks_and_none_is_lost(spark, monkeypatch):
-    monkeypatch.setattr(lm, "BLOCK_IDS", 1000)
-    got = list(lm.target_ids(spark.range(-50, 30_000).selectExpr("id AS doc_id").repartition(40)))
-    assert len(got) > 1 and sorted(np.concatenate(got).tolist()) == list(range(-50, 30_000))
-    assert lm.among(np.array([-51, -50, 7]), np.array([-50, 7, 9])).tolist() == [False, True, True]
