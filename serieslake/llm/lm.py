@@ -33,7 +33,7 @@ from .common import cut, gathered, squeeze, unsqueeze
 
 PRIOR = 50.0
 #: Tokens of a unit, about; bytes of text for each bucket of keys.
-UNIT_TOKENS, BUCKET_BYTES = 1 << 22, 16 << 20
+UNIT_TOKENS, BUCKET_BYTES = 1 << 21, 16 << 20
 #: Good ids that may be broadcast, 8 bytes each; more are joined by a shuffle.
 BROADCAST_IDS = 1 << 20
 KEY_BITS = 56
@@ -108,8 +108,11 @@ class Unit:
         word, pair = n[: len(self.words)], n[len(self.words) :]
         single = (word[w - 1] + 1) / (total + words)
         loss = -np.log2((pair + PRIOR * single) / (np.concatenate([[starts], word])[v] + PRIOR))
-        of = np.repeat(np.arange(len(self.sizes)), self.sizes)
-        summed = np.bincount(of, weights=loss[self.places], minlength=len(self.sizes))
+        del v, w, single
+        some = self.sizes > 0
+        summed = np.zeros(len(self.sizes))
+        if some.any():
+            summed[some] = np.add.reduceat(loss[self.places], (np.cumsum(self.sizes) - self.sizes)[some])
         return np.divide(summed, self.sizes, out=np.full(len(self.sizes), np.nan), where=self.sizes > 0)
 
 
@@ -209,11 +212,15 @@ def score(docs: DataFrame, good: DataFrame) -> DataFrame:
         u = Unit.unpack(left.column("payload")[0].as_py())
         got = [unsqueeze(p) for _, p in sorted(zip(right.column("bucket").to_pylist(), right.column("payload").to_pylist(), strict=True))]
         order = np.argsort(u.keys(), kind="stable")
-        every, target = np.zeros(len(order)), np.zeros(len(order))
-        if got:
-            every[order], target[order] = (np.concatenate([g[i] for g in got]) for i in (0, 1))
-        a = u.losses(target, starts_good, n_good, words)
-        b = u.losses(every * scale, starts * scale, n_good, words)
+
+        def counted(i):
+            out = np.zeros(len(order))
+            if got:
+                out[order] = np.concatenate([g[i] for g in got])
+            return out
+
+        a = u.losses(counted(1), starts_good, n_good, words)
+        b = u.losses(counted(0) * scale, starts * scale, n_good, words)
         ids = pa.ipc.open_stream(left.column("ids")[0].as_py()).read_all().column(0)
         return pa.table([ids.combine_chunks(), pa.array(u.sizes), *(pa.array(x, from_pandas=True) for x in (a, b, a - b))], names=names)
 
