@@ -123,7 +123,7 @@ def _forest(fps: np.ndarray, home: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
             if (root == before).all():
                 break
     moved = np.flatnonzero(root != np.arange(len(fps)))
-    return fps[moved], fps[root[moved]]
+    return moved, root[moved]
 
 
 def _compare(batches):
@@ -131,43 +131,43 @@ def _compare(batches):
     held: list[tuple[np.ndarray, ...]] = []
 
     def settle(parts):
-        key, fp, home = (np.concatenate(x) for x in zip(*parts, strict=True))
+        key, fp, home, rep = (np.concatenate(x) for x in zip(*parts, strict=True))
         cuts = np.flatnonzero(np.diff(key)) + 1
         a, b = [], []
         for lo, hi in zip([0, *cuts], [*cuts, len(key)], strict=True):
             if hi - lo > 1 and home[lo:hi].any():
                 x, y = _forest(fp[lo:hi], home[lo:hi])
-                a.append(x)
-                b.append(y)
-        a, b = (np.concatenate(x) if x else np.zeros(0, np.uint64) for x in (a, b))
-        pairs = np.unique(np.stack([a, b], axis=1), axis=0) if len(a) else np.zeros((0, 2), np.uint64)
-        return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(pairs[:, i]).view(np.int64)) for i in (0, 1)], names=["a", "b"])
+                a.append(rep[lo:hi][x])
+                b.append(rep[lo:hi][y])
+        a, b = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (a, b))
+        pairs = np.unique(np.stack([a, b], axis=1), axis=0) if len(a) else np.zeros((0, 2), np.int64)
+        return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(pairs[:, i])) for i in (0, 1)], names=["a", "b"])
 
     for batch in batches:
-        key, fp, home = batch.column(0).to_numpy(), batch.column(1).to_numpy().view(np.uint64), batch.column(2).to_numpy(zero_copy_only=False)
+        key, fp, home, rep = batch.column(0).to_numpy(), batch.column(1).to_numpy().view(np.uint64), batch.column(2).to_numpy(zero_copy_only=False), batch.column(3).to_numpy()
         if not len(key):
             continue
         last = int(np.searchsorted(key, key[-1]))
         if last:
-            yield settle([*held, (key[:last], fp[:last], home[:last])])
+            yield settle([*held, (key[:last], fp[:last], home[:last], rep[:last])])
             held = []
-        held.append((key[last:], fp[last:], home[last:]))
+        held.append((key[last:], fp[last:], home[last:], rep[last:]))
     if held:
         yield settle(held)
 
 
 def links(distinct: DataFrame) -> DataFrame:
-    """(a, b): a spanning forest of the links among distinct fingerprints ``fp``."""
+    """(a, b): a spanning forest of the links among distinct fingerprints ``fp``, each named by its document ``rep``."""
 
     def spread(batches):
         for b in batches:
-            fps = b.column(0).to_numpy()
+            fps, reps = b.column(0).to_numpy(), b.column(1).to_numpy()
             key, row, home = anchors(fps)
             for at in range(0, len(key), 1 << 16):
                 s = slice(at, at + (1 << 16))
-                yield pa.RecordBatch.from_arrays([pa.array(key[s].astype(np.int32)), pa.array(fps[row[s]]), pa.array(home[s])], names=["anchor", "fp", "home"])
+                yield pa.RecordBatch.from_arrays([pa.array(key[s].astype(np.int32)), pa.array(fps[row[s]]), pa.array(home[s]), pa.array(reps[row[s]])], names=["anchor", "fp", "home", "rep"])
 
-    rows = distinct.select("fp").mapInArrow(spread, "anchor int, fp bigint, home boolean")
+    rows = distinct.select("fp", F.col("rep").cast("bigint").alias("rep")).mapInArrow(spread, "anchor int, fp bigint, home boolean, rep bigint")
     return rows.repartition("anchor").sortWithinPartitions("anchor", "fp").mapInArrow(_compare, "a bigint, b bigint").distinct()
 
 
@@ -175,12 +175,9 @@ def groups(docs: DataFrame) -> DataFrame:
     """doc_id, fp, component_id for every row of ``docs``."""
     fps = cut(fingerprints(docs))
     reps = cut(fps.where("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("rep")))
-    forest = links(reps)
-    roots = components(forest)
-    # the component's name is the smallest document over all of its fingerprints
-    named = reps.join(roots, reps.fp == roots.node, "left").select(reps.fp, "rep", F.coalesce("root", reps.fp).alias("root"))
-    least = named.groupBy("root").agg(F.min("rep").alias("least"))
-    final = named.join(least, "root").select(F.col("fp").alias("fp_"), F.col("least").alias("least_"))
+    # each fingerprint goes by its smallest document, so the smallest of a component is the component's name
+    roots = components(links(reps))
+    final = reps.join(roots, F.col("rep") == F.col("node"), "left").select(F.col("fp").alias("fp_"), F.coalesce("root", "rep").alias("least_"))
     joined = fps.join(final, F.col("fp") == F.col("fp_"), "left")
     return joined.select("doc_id", "fp", F.when(F.col("doc_id").isNotNull(), F.col("least_")).alias("component_id"))
 
