@@ -7,9 +7,8 @@ are then found from the common prefix and the conversation is flagged. Where a t
 stands inside its span is found by rendering two probes instead of the text, so nothing about
 the template is assumed.
 
-Rendering every prefix costs the square of the turns; beyond ``WINDOW`` turns each turn is
-rendered after its last few predecessors, and the pieces must add up to the render of the whole;
-where they don't, all prefixes are rendered after all.
+Every prefix is rendered, so any rewriting of what was shown before is seen, at a cost of the square of
+a conversation's turns; the default template keeps the strings of its turns.
 
 Null texts and roles are empty. Equal turn numbers are ordered by role, then text; repeated rows
 are repeated turns. Rows of a null conv_id form one conversation. An empty table gives no rows;
@@ -18,9 +17,9 @@ other columns are ignored.
 
 from __future__ import annotations
 
-import os.path
 import re
 from collections.abc import Callable
+from functools import lru_cache
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -29,7 +28,6 @@ from pyspark.sql import types as T
 from .common import map_batches, sha
 
 Template = Callable[[list[tuple[str, str]]], str]
-WINDOW, CONTEXT = 48, 3
 PROBES = ("1", "2")
 MARK, END = "### ", " </turn>\n"
 
@@ -44,7 +42,12 @@ def unescape(text: str) -> str:
 
 def marked_turns(turns: list[tuple[str, str]]) -> str:
     """The default template: ``### role: text </turn>`` lines with control characters escaped."""
-    return "".join(f"{MARK}{escape(role)}: {escape(text)}{END}" for role, text in turns)
+    return "".join([_line(*turn) for turn in turns])
+
+
+@lru_cache(maxsize=1 << 14)
+def _line(role: str, text: str) -> str:
+    return f"{MARK}{escape(role)}: {escape(text)}{END}"
 
 
 def read_turns(formatted: str) -> list[tuple[str, str]]:
@@ -53,53 +56,42 @@ def read_turns(formatted: str) -> list[tuple[str, str]]:
 
 
 def _common(a: str, b: str) -> int:
-    return len(os.path.commonprefix([a, b]))
-
-
-def _text_span(template: Template, before: list, role: str, shown: str, base: int) -> tuple[int, int]:
-    """Where the last turn's text stands in ``shown``, the render of all turns; ``base`` chars come before."""
+    """How many leading signs two strings share, by halving."""
+    lo, hi = 0, min(len(a), len(b))
+    while lo < hi:
+        mid = (lo + hi + 1) // 2
+        if a[lo:mid] == b[lo:mid]:
+            lo = mid
+        else:
+            hi = mid - 1
+    return lo
+
+
+def _text_span(template: Template, before: list, role: str, shown: str, shared: int) -> tuple[int, int]:
+    """Where the last turn's text stands in ``shown``, the render of all turns, whose first ``shared`` signs the
+    render of the turns before has too."""
     one, two = (template([*before, (role, p)]) for p in PROBES)
+    known = shared if one[:shared] == two[:shared] == shown[:shared] else 0
+    one, two = one[known:], two[known:]
     head = _common(one, two)
     tail = _common(one[::-1], two[::-1])
-    if head and one[head - 1] == PROBES[0][0]:
-        head -= 1
-    extra = len(shown) - len(one)
-    return base + head, base + max(head, len(one) - tail + extra)
+    extra = len(shown) - known - len(one)
+    return known + head, known + max(head, len(one) - tail + extra)
 
 
 class Rendered:
     """The formatted text with (start, end) of each turn and of its text, and whether history was rewritten."""
 
     def __init__(self, turns: list[tuple[str, str]], template: Template):
-        self.text, self.turns, self.texts, self.rewritten = template(turns) if turns else "", [], [], False
-        if len(turns) <= WINDOW or not self._by_windows(turns, template):
-            self._by_prefixes(turns, template)
-
-    def _by_prefixes(self, turns, template):
-        self.turns, self.texts, before = [], [], template([])
+        self.turns, self.texts, self.rewritten, before = [], [], False, template([])
+        self.text = before if turns else ""
         for k in range(len(turns)):
             now = template(turns[: k + 1])
             shared = len(before) if now.startswith(before) else _common(before, now)
-            if shared < len(before):
-                self.rewritten = True
+            self.rewritten |= shared < len(before)
             self.turns.append((shared, len(now)))
-            self.texts.append(_text_span(template, turns[:k], turns[k][0], now, 0))
-            before = now
-
-    def _by_windows(self, turns, template) -> bool:
-        at = len(template([]))
-        pieces = [self.text[:at]]
-        for k in range(len(turns)):
-            context = turns[max(0, k - CONTEXT) : k]
-            before, now = template(context), template([*context, turns[k]])
-            if not now.startswith(before):
-                return False
-            base = at - len(before)
-            self.turns.append((at, at + len(now) - len(before)))
-            self.texts.append(_text_span(template, context, turns[k][0], now, base))
-            pieces.append(now[len(before) :])
-            at = self.turns[-1][1]
-        return "".join(pieces) == self.text
+            self.texts.append(_text_span(template, turns[:k], turns[k][0], now, shared))
+            self.text = before = now
 
 
 def render(conversations: DataFrame, template: Template = marked_turns) -> DataFrame:

@@ -34,6 +34,25 @@ def test_chat_round_trip_and_loss(spark):
         assert not r.rewritten
 
 
+def test_chat_sees_a_rewrite_at_any_turn():
+    def once(turns):
+        return ("<" if len(turns) == 10 else "(") + "".join(f"{r}:{t}\n" for r, t in turns)
+
+    for n in (9, 10, 48, 49, 130):
+        assert chat.Rendered([("user", f"t{i}") for i in range(n)], once).rewritten == (n >= 10)
+
+
+def test_chat_on_odd_tables(spark, tmp_path):
+    from serieslake.llm.queries import CHAT_EXTRA, QUERIES
+
+    rows = [(1, 0, "user", "hi", 1), (1, 1, "assistant", "a < b", 1), (1, 1, "assistant", "a < b", 1), (None, 0, None, None, None), (2, 0, "assistant", "", 0), *((3, i, "assistant", f"line {i}", 0) for i in range(3000))]
+    df = spark.createDataFrame(rows, "conv_id bigint, turn bigint, role string, text string, n_turns int")
+    df.write.parquet(f"{tmp_path}/conversations.parquet")
+    got = {r.conv_id: r for r in QUERIES["op10_chat_rendering"](spark, str(tmp_path)).collect()}
+    assert {k: (r.n_turns, r.loss_chars) for k, r in got.items()} == {1: (3, 10), None: (1, 0), 2: (1, 0), 3: (3000, sum(len(f"line {i}") for i in range(3000))), -7: (2, len(CHAT_EXTRA))}
+    assert chat.render(df.limit(0)).count() == 0
+
+
 def test_chat_sees_rewritten_history():
     def numbered(turns):
         return f"{len(turns)} turns\n" + "".join(f"<{r}>{t}</{r}>" for r, t in turns)
@@ -147,7 +166,7 @@ def test_simhash_groups_equal_brute_force(spark):
             f ^= 1 << b
         fps.append(f)
     v = np.array(fps, dtype=np.uint64)
-    df = spark.createDataFrame([(int(x),) for x in np.unique(v).view(np.int64)], "fp bigint")
+    df = spark.createDataFrame([(int(x), int(x)) for x in np.unique(v).view(np.int64)], "fp bigint, rep bigint")
     got = {r.node: r.root for r in components(simhash.links(df)).collect()}
     u = np.unique(v)
     near = np.bitwise_count(u[:, None] ^ u[None]) <= 4
