@@ -31,11 +31,11 @@ IP = re.compile(r"(?<![0-9])[0-9]+(?:\.[0-9]+)(?:\.[0-9]+)(?:\.[0-9]+)")
 CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 #: A word that may be an identifier: eight signs or more, with three digits or more, or with three signs of an address or more inside.
-WORD = re.compile(r"[^\s\"'<>|,;]{8,64}")
+WORD = re.compile(r"[^\s\"'<>|,;]{8,}")
 DIGIT, ADDRESS = re.compile(r"[0-9]"), re.compile(r"[().\[\]{}@_+]")
 #: A number in groups: whole words of digits and few other signs, 7 to 19 digits in all.
 GROUPS = re.compile(r"(?<![^\s\"'<>|,;])[+(]?[0-9]+(?:[\x20./()-]{1,2}[0-9]+)+(?![^\s\"'<>|,;.:!?])")
-ROUNDS, CONFIDENT, SEEDS = 4, 0.8, 5
+CONFIDENT, SEEDS, SETTLED = 0.8, 5, 1e-3
 SPAN = T.ArrayType(T.StructType([T.StructField("kind", T.StringType()), T.StructField("start", T.LongType()), T.StructField("end", T.LongType()), T.StructField("value", T.StringType()), T.StructField("patterns", T.ArrayType(T.StringType()))]))
 
 
@@ -156,10 +156,13 @@ def confident_patterns(edges: DataFrame) -> DataFrame:
     graph = cut(graph.withColumn("conf", F.when(F.col("kind") == F.col("p_kind"), 1.0).otherwise(0.0)))
     if graph.isEmpty():
         return seeds.select("pattern", F.col("p_kind").alias("kind")).limit(0)
-    for _ in range(ROUNDS):
+    change = 1.0
+    while change > SETTLED:  # confidences only rise and are below one, so this ends
         scores = graph.groupBy("pattern").agg(F.avg("conf").alias("score"))
         instances = graph.where("kind is null").join(scores, "pattern").groupBy("value", "p_kind").agg((1 - F.exp(F.sum(F.log1p(-F.least(F.col("score"), F.lit(0.999)))))).alias("now"))
-        graph = cut(graph.select("pattern", "p_kind", "value", "kind", "conf").join(instances, ["value", "p_kind"], "left").select("pattern", "p_kind", "value", "kind", F.when(F.col("kind").isNull(), F.coalesce("now", F.lit(0.0))).otherwise(F.col("conf")).alias("conf")))
+        new = F.when(F.col("kind").isNull(), F.coalesce("now", F.lit(0.0))).otherwise(F.col("conf"))
+        graph = cut(graph.select("pattern", "p_kind", "value", "kind", "conf").join(instances, ["value", "p_kind"], "left").select("pattern", "p_kind", "value", "kind", F.abs(new - F.col("conf")).alias("moved"), new.alias("conf")))
+        change = graph.agg(F.max("moved")).first()[0] or 0.0
     return graph.groupBy("pattern", "p_kind").agg(F.avg("conf").alias("score")).where(F.col("score") >= CONFIDENT).select("pattern", F.col("p_kind").alias("kind"))
 
 
