@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+import tempfile
 from collections.abc import Callable, Iterator, Sequence
 
 import numpy as np
@@ -31,9 +32,12 @@ def tuned(spark: SparkSession) -> SparkSession:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that the cluster names in spark.checkpoint.dir; one of our own only where none is set, as in tests."""
+    """The folder that the cluster names in spark.checkpoint.dir; one of our own only on a single machine that names none."""
     if spark.sparkContext.getCheckpointDir() is None:
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints")
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and (not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster")):
+            raise RuntimeError("name a folder that all executors share in spark.checkpoint.dir")
+        spark.sparkContext.setCheckpointDir(named or tempfile.mkdtemp(prefix="checkpoints-"))
     return spark.sparkContext.getCheckpointDir()
 
 
@@ -124,17 +128,17 @@ def gathered(batches, settle):
         yield from settle(key, held)
 
 
-def components(edges: DataFrame, a: str = "a", b: str = "b", rounds: int = 60) -> DataFrame:
+def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """Connected components of undirected edges by alternating star contraction.
 
     Returns (node, root) for every node that has an edge to another; root is the smallest node
-    reachable. Each round is two joins on narrow rows and a reliable checkpoint; a round that
+    reachable. Each round is two joins on narrow rows and a reliable checkpoint; only a round that
     changes nothing ends it. The number of rounds grows with the logarithm of the longest path.
     Null ends and loops are ignored; no edges give no rows.
     """
     e = edges.select(F.greatest(a, b).alias("hi"), F.least(a, b).alias("lo")).where("hi <> lo").distinct()
     e, seen = cut(e), None
-    for _ in range(rounds):
+    while True:
         # every node hands its larger neighbours to its smallest one
         both = e.select(F.col("hi").alias("u"), F.col("lo").alias("v")).unionByName(e.select(F.col("lo").alias("u"), F.col("hi").alias("v")))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))

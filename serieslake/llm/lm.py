@@ -149,6 +149,7 @@ def units(rows: DataFrame) -> DataFrame:
             lists.append(pa.array([w for ws in said for w in ws], pa.large_string()))
             sizes += map(len, said)
             good += b.column(2).to_pylist()
+            del said
             if sum(map(len, lists)) >= UNIT_TOKENS:
                 yield settle()
                 n, ids, lists, sizes, good = n + 1, [], [], [], []
