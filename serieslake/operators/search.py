@@ -17,12 +17,12 @@ from pyspark.sql import functions as F
 from ..config import IndexConfig
 from ..functions import summaries as S
 from ..session import cut
-from .index import SeriesIndex
+from .index import SeriesIndex, assign
 from .series import matrix
 
 MAX_QUERIES = 10_000
-#: Pairs that are few enough to be settled in one last wave.
-LAST_WAVE = 200_000
+#: Share of all pairs from which on a scan of the values beats fetching them by pair.
+SCAN_SHARE = 0.2
 ANSWER = "query_id bigint, series_id bigint, dist double"
 
 
@@ -47,8 +47,16 @@ class Queries:
         return cls(rows.column(0).to_numpy()[order], x, paa, S.symbol_rows(paa, cfg.bits))
 
 
-def leaf_bounds(nodes: DataFrame, q: Queries, bsf: np.ndarray, cfg: IndexConfig, key: str = "leaf_id") -> DataFrame:
-    """(query_id, key, lb) of the nodes whose bound doesn't exceed a query's best-so-far."""
+def lowest(lb: np.ndarray, query: np.ndarray, most: int) -> np.ndarray:
+    """Places of the ``most`` least bounds of each query."""
+    order = np.lexsort((lb, query))
+    rank = np.arange(len(order)) - np.searchsorted(query[order], query[order])
+    return order[rank < most]
+
+
+def leaf_bounds(nodes: DataFrame, q: Queries, bsf: np.ndarray, cfg: IndexConfig, key: str = "leaf_id", heads: int | None = None) -> DataFrame:
+    """(query_id, key, lb) of the nodes whose bound doesn't exceed a query's best-so-far; with ``heads`` of each batch
+    of nodes the so many least ones a query only."""
     shared = nodes.sparkSession.sparkContext.broadcast((q.ids, q.paa, bsf))
 
     def run(batches):
@@ -58,6 +66,9 @@ def leaf_bounds(nodes: DataFrame, q: Queries, bsf: np.ndarray, cfg: IndexConfig,
                 continue
             lb = S.gap_rows(paa, matrix(b.column(1), cfg.w), matrix(b.column(2), cfg.w), cfg.n)
             i, k = np.nonzero(lb * (1 - cfg.slack) <= bsf[:, None])
+            if heads is not None:
+                keep = lowest(lb[i, k], i, heads)
+                i, k = i[keep], k[keep]
             yield pa.RecordBatch.from_arrays([pa.array(ids[i]), b.column(0).take(pa.array(k)), pa.array(lb[i, k])], names=["query_id", key, "lb"])
 
     return nodes.select(key, "lo", "hi").mapInArrow(run, f"query_id bigint, {key} {dict(nodes.dtypes)[key]}, lb double")
@@ -83,42 +94,86 @@ def prune(index: SeriesIndex, q: Queries, bsf: np.ndarray, levelwise: bool = Fal
     return out
 
 
-def enqueue(candidates: DataFrame, queues: int, by: str = "lb") -> DataFrame:
-    """Adds rank and queue_id: candidates of a query in order of bound, dealt to the queues in turn."""
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(by, *(c for c in ("leaf_id", "series_id") if c in candidates.columns)))
-    return candidates.withColumn("rank", rank.cast("bigint")).withColumn("queue_id", ((F.col("rank") - 1) % queues).cast("int"))
+def enqueue(candidates: DataFrame, queues: int, by: str = "leaf_id") -> DataFrame:
+    """Adds queue_id: candidates are dealt to the queues by their leaf, so that a queue reads its leaves' values once."""
+    return candidates.withColumn("queue_id", F.pmod(F.xxhash64(by), F.lit(queues)).cast("int"))
 
 
 def order_queues(queued: DataFrame, queues: int) -> DataFrame:
-    """One sorted run for each queue."""
-    return queued.repartition(queues, "queue_id").sortWithinPartitions("queue_id", "query_id", "lb", "rank")
+    """One array for each queue, sorted by query and bound."""
+    return queued.repartition(queues, "queue_id").sortWithinPartitions("queue_id", "query_id", "lb", "series_id")
 
 
-def _item_bounds(index: SeriesIndex, q: Queries, bsf: np.ndarray, leaves: DataFrame) -> DataFrame:
-    """(query_id, series_id, leaf_id, lb): members of candidate leaves whose own bound survives. Reads no raw values."""
+def _item_bounds(index: SeriesIndex, q: Queries, bsf: np.ndarray, leaves: DataFrame | None, heads: int | None = None) -> DataFrame:
+    """(query_id, series_id, leaf_id, lb): members of candidate leaves, or of all, whose own bound survives. Reads no raw
+    values. With ``heads`` of each batch of members the so many least ones a query only."""
     cfg = index.cfg
-    shared = leaves.sparkSession.sparkContext.broadcast((q.ids, q.paa, bsf))
-    narrow = index.by_leaf.select("leaf_id", "series_id", "word")
-    asked = leaves.groupBy("leaf_id").agg(F.collect_list("query_id").alias("asked"))
+    shared = index.by_leaf.sparkSession.sparkContext.broadcast((q.ids, q.paa, bsf))
+    rows = index.by_leaf.select("leaf_id", "series_id", "word")
+    if leaves is not None:
+        rows = rows.join(leaves.groupBy("leaf_id").agg(F.collect_list("query_id").alias("asked")), "leaf_id").select("leaf_id", "series_id", "word", "asked")
 
     def run(batches):
         ids, paa, bsf = shared.value
         for b in batches:
-            if not b.num_rows:
+            if not b.num_rows or not len(ids):
                 continue
             word = b.column(2).flatten().to_numpy().reshape(-1, cfg.w)
             lo, hi = S.intervals(word, np.full_like(word, cfg.bits), cfg.bits)
-            wanted = b.column(3)
-            rows = np.repeat(np.arange(b.num_rows), np.diff(wanted.offsets.to_numpy()))
-            which = np.searchsorted(ids, wanted.flatten().to_numpy())
+            if b.num_columns == 4:
+                rows = np.repeat(np.arange(b.num_rows), np.diff(b.column(3).offsets.to_numpy()))
+                which = np.searchsorted(ids, b.column(3).flatten().to_numpy())
+            else:
+                rows, which = np.divmod(np.arange(b.num_rows * len(ids)), len(ids))
             for at in range(0, len(rows), 1 << 18):
                 r, k = rows[at : at + (1 << 18)], which[at : at + (1 << 18)]
                 gap = np.maximum(np.maximum(lo[r] - paa[k], paa[k] - hi[r]), 0.0)
                 lb = np.sqrt(cfg.n / cfg.w * (gap * gap).sum(axis=1))
-                keep = lb * (1 - cfg.slack) <= bsf[k]
+                keep = np.flatnonzero(lb * (1 - cfg.slack) <= bsf[k])
+                if heads is not None:
+                    keep = keep[lowest(lb[keep], k[keep], heads)]
                 yield pa.RecordBatch.from_arrays([pa.array(ids[k[keep]]), b.column(1).take(pa.array(r[keep])), b.column(0).take(pa.array(r[keep])), pa.array(lb[keep])], names=["query_id", "series_id", "leaf_id", "lb"])
 
-    return narrow.join(asked, "leaf_id").select("leaf_id", "series_id", "word", "asked").mapInArrow(run, "query_id bigint, series_id bigint, leaf_id bigint, lb double")
+    return rows.mapInArrow(run, "query_id bigint, series_id bigint, leaf_id bigint, lb double")
+
+
+def refine(queued: DataFrame, index: SeriesIndex, q: Queries, bsf: np.ndarray, k: int = 1) -> DataFrame:
+    """(query_id, series_id, dist) from queues of (queue_id, query_id, series_id, leaf_id, lb), each consumed from its least
+    bound on: distances lower the queue's own best-so-far, and the first bound above it ends the query in that queue."""
+    n, slack = index.cfg.n, index.cfg.slack
+    shared = queued.sparkSession.sparkContext.broadcast((q.ids, q.values, bsf))
+    raw = index.by_leaf.select("leaf_id", "series_id", "values")
+    # how many queues there are is a property of the rows, so no column is read for it twice
+    rows = order_queues(queued.join(raw, ["leaf_id", "series_id"]).select("queue_id", "query_id", "series_id", "lb", "values"), index.cfg.queues)
+
+    def run(batches):
+        ids, values, bsf = shared.value
+        at, best, over = None, np.zeros(0), False
+        for b in batches:
+            if not b.num_rows:
+                continue
+            key = np.stack([b.column(0).to_numpy(), b.column(1).to_numpy()], axis=1)
+            lb, x = b.column(3).to_numpy(), None
+            cuts = np.concatenate([[0], np.flatnonzero((key[1:] != key[:-1]).any(axis=1)) + 1, [len(key)]])
+            for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+                if at != tuple(key[lo]):
+                    at, best, over = tuple(key[lo]), np.zeros(0), False
+                which = int(np.searchsorted(ids, at[1]))
+                for s in range(lo, hi, 256):
+                    limit = min(bsf[which], best[k - 1] if len(best) >= k else np.inf)
+                    e = min(s + 256, hi)
+                    e = s + int(np.searchsorted(lb[s:e] * (1 - slack), limit, side="right"))
+                    if over or e == s:
+                        over = True
+                        break
+                    x = matrix(b.column(4), n) if x is None else x
+                    d = S.distances(x[s:e], np.broadcast_to(values[which], (e - s, n)), np.full(e - s, limit * (1 + slack) if np.isfinite(limit) else np.inf))
+                    got = np.isfinite(d)
+                    best = np.sort(np.concatenate([best, d[got]]))[:k]
+                    if got.any():
+                        yield pa.RecordBatch.from_arrays([b.column(1).slice(s, e - s).filter(pa.array(got)), b.column(2).slice(s, e - s).filter(pa.array(got)), pa.array(d[got])], names=["query_id", "series_id", "dist"])
+
+    return rows.mapInArrow(run, ANSWER)
 
 
 def _true_distances(pairs: DataFrame, index: SeriesIndex, q: Queries, bsf: np.ndarray) -> DataFrame:
@@ -154,47 +209,55 @@ def _kth(best: DataFrame, q: Queries, k: int) -> np.ndarray:
     return out
 
 
+def home_leaves(index: SeriesIndex, q: Queries, spark) -> DataFrame:
+    """(query_id, leaf_id): the leaf that a query's own path leads to, or the leaf of least bound where that one is
+    missing or empty. Only for the latter are bounds computed, and of each batch of leaves one a query goes on."""
+    rows = list(zip(q.ids.tolist(), q.words.tolist(), S.bucket_rows(q.words, index.cfg.bits).tolist(), strict=True))
+    asked = spark.createDataFrame(rows, "series_id bigint, word array<int>, bucket int")
+    led = assign(asked.select("bucket", "word").distinct(), asked, index.nodes, index.cfg)
+    led = cut(led.join(index.leaves.select("leaf_id"), "leaf_id", "left_semi").select(F.col("series_id").alias("query_id"), "leaf_id"))
+    known = {r[0] for r in led.select("query_id").collect()}  # at most MAX_QUERIES rows
+    bsf = np.where(np.isin(q.ids, list(known)), -1.0, np.inf)
+    if not np.isinf(bsf).any():
+        return led
+    least = leaf_bounds(index.leaves, q, bsf, index.cfg, heads=1).groupBy("query_id").agg(F.min_by("leaf_id", F.struct("lb", "leaf_id")).alias("leaf_id"))
+    return led.unionByName(least)
+
+
 def seed(index: SeriesIndex, q: Queries, how: str, k: int = 1) -> DataFrame:
-    """First answers: the members of each query's own leaf, or of the leaf of least bound where it has none ("leaf"),
-    the member of least bound ("best_lb"), or none."""
+    """First answers: the members of each query's own leaf ("leaf"), the members of least bound ("best_lb"), or none."""
     none = np.full(len(q.ids), np.inf)
-    bounds = leaf_bounds(index.leaves, q, none, index.cfg).join(index.leaves.select("leaf_id", "n_items"), "leaf_id")
-    if how == "none":
-        return bounds.select("query_id", F.lit(0).cast("bigint").alias("series_id"), F.col("lb").alias("dist")).limit(0)
-    w = Window.partitionBy("query_id").orderBy("lb", "leaf_id")
+    spark = index.nodes.sparkSession
+    if how == "none" or not len(q.ids):
+        return spark.createDataFrame([], ANSWER)
     if how == "leaf":
-        full = F.coalesce(F.sum("n_items").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-        near = bounds.withColumn("before", full).where(F.col("before") < k).select("query_id", "leaf_id")
-        members = near.join(index.by_leaf.select("leaf_id", "series_id"), "leaf_id")
+        members = home_leaves(index, q, spark).join(index.by_leaf.select("leaf_id", "series_id"), "leaf_id")
         return _true_distances(members, index, q, none)
-    items = _item_bounds(index, q, none, bounds.withColumn("r", F.row_number().over(w)).where("r <= 4").select("query_id", "leaf_id"))
-    least = items.withColumn("r", F.row_number().over(Window.partitionBy("query_id").orderBy("lb", "series_id"))).where(F.col("r") <= k)
-    return _true_distances(least.select("query_id", "series_id", "leaf_id"), index, q, none)
+    leaves = leaf_bounds(index.leaves, q, none, index.cfg, heads=4)
+    return _true_distances(_item_bounds(index, q, none, leaves, heads=k).select("query_id", "series_id", "leaf_id"), index, q, none)
 
 
 def knn(index: SeriesIndex, queries: DataFrame, k: int = 1, levelwise: bool = False, first_wave: int = 32) -> DataFrame:
-    """(query_id, series_id, dist, rank): the exact k nearest members of each query."""
+    """(query_id, series_id, dist, rank): the exact k nearest members of each query.
+
+    A first wave takes the members of least bounds of each batch, which brings the best-so-far close to its end; the
+    second wave bounds all members against it and refines what is left. Where bounds rule out little, the values are scanned.
+    """
     q = Queries.of(queries, index.cfg)
     best = cut(top_k(seed(index, q, index.cfg.seed_how, k), k))
     bsf = _kth(best, q, k)
-    leaves = prune(index, q, bsf, levelwise)
-    survivors = cut(enqueue(_item_bounds(index, q, bsf, leaves), index.cfg.queues))
-    most, size, done = survivors.agg(F.max("rank")).first()[0] or 0, first_wave, 0
-    upto = most if index.cfg.waves == "one" else size
-    while done < most and len(q.ids):
-        limits = queries.sparkSession.createDataFrame(list(zip(q.ids.tolist(), bsf.tolist(), strict=True)), "query_id bigint, bsf double")
-        alive = survivors.where(F.col("rank") > done).join(F.broadcast(limits), "query_id").where(F.col("lb") * (1 - index.cfg.slack) <= F.col("bsf"))
-        if done:  # what the shrunken best-so-far leaves: nothing ends the search, little is one last wave
-            rest = alive.limit(LAST_WAVE + 1).count()
-            if not rest:
-                break
-            upto = most if rest <= LAST_WAVE else done + size
-        wave = alive.where(F.col("rank") <= upto)
-        got = _true_distances(order_queues(wave, index.cfg.queues).select("query_id", "series_id", "leaf_id"), index, q, bsf)
-        best = cut(top_k(best.select("query_id", "series_id", "dist").unionByName(got), k))
+    if index.cfg.waves != "one" and len(q.ids):
+        near = leaf_bounds(index.leaves, q, bsf, index.cfg, heads=first_wave)
+        heads = _item_bounds(index, q, bsf, near, heads=first_wave).select("query_id", "series_id", "leaf_id")
+        best = cut(top_k(best.select("query_id", "series_id", "dist").unionByName(_true_distances(heads, index, q, bsf)), k))
         bsf = _kth(best, q, k)
-        done, size = upto, size * 8
-    return best
+    items = _item_bounds(index, q, bsf, prune(index, q, bsf, levelwise))
+    alive, members = items.count(), index.leaves.agg(F.sum("n_items")).first()[0] or 0
+    if alive > SCAN_SHARE * members * len(q.ids):
+        got = _scan(index.by_leaf.select("series_id", "values"), q, bsf, k, index.cfg.n)
+    else:
+        got = refine(enqueue(items, index.cfg.queues), index, q, bsf, k)
+    return cut(top_k(best.select("query_id", "series_id", "dist").unionByName(got), k))
 
 
 def nn1(index: SeriesIndex, queries: DataFrame, **options) -> DataFrame:
@@ -229,41 +292,47 @@ def self_nn(index: SeriesIndex, batch: int = MAX_QUERIES) -> DataFrame:
     return out
 
 
-def brute_knn(series: DataFrame, queries: DataFrame, k: int, cfg: IndexConfig) -> DataFrame:
-    """Ground truth: every distance, filtered by a matrix product and computed directly near the best; a bounded heap a batch."""
-    q = Queries.of(queries, cfg)
-    shared = series.sparkSession.sparkContext.broadcast((q.ids, q.values))
+def _scan(series: DataFrame, q: Queries, bsf: np.ndarray, k: int, n: int, normalise: bool = False) -> DataFrame:
+    """(query_id, series_id, dist) over all series, the k best of each batch: distances are filtered by a matrix product and
+    computed directly where they may be under the best-so-far, which each task lowers for itself."""
+    shared = series.sparkSession.sparkContext.broadcast((q.ids, q.values, bsf))
 
     def run(batches):
-        ids, values = shared.value
-        bsf = np.full(len(ids), np.inf)
+        ids, values, bsf = shared.value
         for b in batches:
             if not b.num_rows or not len(ids):
                 continue
-            x = matrix(b.column(1), cfg.n)
-            x = S.znorm_rows(x) if cfg.normalise == "z" else x
+            x = matrix(b.column(1), n)
+            x = S.znorm_rows(x) if normalise else x
             r, j = S.block_filter(x, values, bsf) if np.isfinite(bsf).all() else map(np.ravel, np.indices((len(x), len(ids))))
             parts = [S.distances(x[r[a : a + 65536]], values[j[a : a + 65536]]) for a in range(0, len(r), 65536)]
             d = np.concatenate(parts) if parts else np.zeros(0)
             order = np.lexsort((d, j))
             r, j, d = r[order], j[order], d[order]
             rank = np.arange(len(j)) - np.searchsorted(j, j)
-            tied = d <= d[np.minimum(np.searchsorted(j, j) + k - 1, len(j) - 1)]
-            keep = (rank < k) | (tied & (j[np.minimum(np.searchsorted(j, j) + k - 1, len(j) - 1)] == j))
+            last = np.minimum(np.searchsorted(j, j) + k - 1, len(j) - 1)
+            keep = (rank < k) | (d <= d[last]) & (j[last] == j)
             r, j, d = r[keep], j[keep], d[keep]
             full = np.bincount(j, minlength=len(ids)) >= k
-            kth = np.full(len(ids), np.inf)
-            np.maximum.at(kth := np.where(full, 0.0, np.inf), j, d)
+            kth = np.where(full, 0.0, np.inf)
+            np.maximum.at(kth, j, d)
             bsf = np.minimum(bsf, kth)
             yield pa.RecordBatch.from_arrays([pa.array(ids[j]), b.column(0).take(pa.array(r)), pa.array(d)], names=["query_id", "series_id", "dist"])
 
-    return top_k(series.select("series_id", "values").mapInArrow(run, ANSWER), k)
+    return series.select("series_id", "values").mapInArrow(run, ANSWER)
+
+
+def brute_knn(series: DataFrame, queries: DataFrame, k: int, cfg: IndexConfig) -> DataFrame:
+    """Ground truth: every distance."""
+    q = Queries.of(queries, cfg)
+    return top_k(_scan(series, q, np.full(len(q.ids), np.inf), k, cfg.n, cfg.normalise == "z"), k)
 
 
 def scan_knn(index: SeriesIndex, queries: DataFrame, k: int = 1) -> DataFrame:
-    """No tree: all item bounds, then distances of the survivors."""
+    """No tree: all members' bounds, then distances of the survivors."""
     q = Queries.of(queries, index.cfg)
-    bsf = _kth(cut(top_k(seed(index, q, "best_lb", k), k)), q, k)
-    every = index.leaves.select("leaf_id").crossJoin(F.broadcast(queries.select("query_id")))
-    items = _item_bounds(index, q, bsf, every.select("query_id", "leaf_id"))
+    none = np.full(len(q.ids), np.inf)
+    first = _true_distances(_item_bounds(index, q, none, None, heads=k).select("query_id", "series_id", "leaf_id"), index, q, none)
+    bsf = _kth(cut(top_k(first, k)), q, k)
+    items = _item_bounds(index, q, bsf, None)
     return top_k(_true_distances(items.select("query_id", "series_id", "leaf_id"), index, q, bsf), k)
