@@ -150,6 +150,12 @@ def populate(summaries: DataFrame, cfg: IndexConfig, raw: DataFrame | None = Non
     words = summaries.groupBy("bucket", "word").agg(F.count(F.lit(1)).alias("n"))
     if raw is None:
         raw = _round_robin(words, cfg) if cfg.split_policy == "round_robin" else _balanced(words, cfg)
+    nodes = forest(raw, cfg)
+    return nodes, assign(words.select("bucket", "word"), summaries, nodes, cfg)
+
+
+def forest(raw: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """The node table with depth, left counts, in-order places, dense leaf ids, symbols and ranges."""
     raw = cut(raw)
     raw = raw.withColumns({"depth": F.length("path"), "is_leaf": F.col("seg_split").isNull()})
     # nodes under a left child, counted at the parent
@@ -161,11 +167,10 @@ def populate(summaries: DataFrame, cfg: IndexConfig, raw: DataFrame | None = Non
     totals = raw.groupBy("bucket").agg(F.sum(F.col("is_leaf").cast("bigint")).alias("t"))
     offsets = totals.withColumn("_at", F.coalesce(F.sum("t").over(Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).drop("t")
     nodes = ranked.join(F.broadcast(offsets), "bucket").withColumn("leaf_id", F.when(F.col("is_leaf"), F.col("_at") + F.col("_leaf") - 1))
-    nodes = cut(_with_ranges(nodes.select("bucket", "path", "depth", "is_leaf", "n_items", "seg_split", "bits", "left_nodes", "inorder", "leaf_id"), summaries, cfg))
-    return nodes, assign(words.select("bucket", "word"), summaries, nodes, cfg)
+    return cut(_with_ranges(nodes.select("bucket", "path", "depth", "is_leaf", "n_items", "seg_split", "bits", "left_nodes", "inorder", "leaf_id"), cfg))
 
 
-def _with_ranges(nodes: DataFrame, summaries: DataFrame, cfg: IndexConfig) -> DataFrame:
+def _with_ranges(nodes: DataFrame, cfg: IndexConfig) -> DataFrame:
     """Adds syms, lo and hi by replaying each path from its bucket."""
 
     def run(batches):
@@ -263,11 +268,54 @@ def build(series: DataFrame, cfg: IndexConfig) -> SeriesIndex:
     return SeriesIndex(cfg, summaries, nodes, cut(cluster_by_leaf(full.select("series_id", "word", "values"), assignments)))
 
 
+def overflow_leaves(nodes: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """Leaves over their capacity whose words can't be told apart."""
+    return nodes.where(F.col("is_leaf") & (F.col("n_items") > cfg.theta))
+
+
+def split_leaves(words: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """(bucket, path, n_items) of the trees that overfull leaves become, the leaf itself included; words: bucket, path, word, n."""
+
+    def build(pdf: pd.DataFrame) -> pd.DataFrame:
+        top = pdf.path.iloc[0]
+        nodes = subtree(np.stack(pdf.word.to_numpy()), pdf.n.to_numpy(), cfg, top, len(top))
+        return pd.DataFrame({"bucket": int(pdf.bucket.iloc[0]), "path": [p for p, _ in nodes], "n_items": [n for _, n in nodes]})
+
+    return words.groupBy("bucket", "path").applyInPandas(build, "bucket int, path string, n_items bigint")
+
+
 def insert_batch(index: SeriesIndex, series: DataFrame) -> SeriesIndex:
-    """The index with more series. Under round-robin splits the tree is the one a bulk build gives:
-    only leaves that overflow are split further, all others are kept as they are."""
-    more = summarize(series, index.cfg, keep_values=True)
-    values = index.by_leaf.select("series_id", "word", "values").unionByName(more.select("series_id", "word", "values"))
-    summaries = cut(index.summaries.unionByName(more.select("series_id", "paa", "word", "bucket")))
-    nodes, assignments = populate(summaries, index.cfg)
-    return replace(index, summaries=summaries, nodes=nodes, by_leaf=cut(cluster_by_leaf(values, assignments)))
+    """The index with more series; the tree is the one that a bulk build gives.
+
+    Round-robin splits: new words are routed to their leaves by path, counts grow along the paths, and only leaves that
+    overflow and buckets that are new are split. Members of all other leaves stay where they are, under the
+    leaf ids they had. Balanced splits depend on all members, so there the forest is built again.
+    """
+    cfg = index.cfg
+    full = cut(summarize(series, cfg, keep_values=True))
+    more = full.select("series_id", "paa", "word", "bucket")
+    summaries = index.summaries.unionByName(more)
+    if cfg.split_policy != "round_robin":
+        values = index.by_leaf.select("series_id", "word", "values").unionByName(full.select("series_id", "word", "values"))
+        nodes, assignments = populate(summaries, cfg)
+        return replace(index, summaries=summaries, nodes=nodes, by_leaf=cut(cluster_by_leaf(values, assignments)))
+    words = cut(more.groupBy("bucket", "word").agg(F.count(F.lit(1)).alias("n")))
+    old = index.nodes.select("bucket", "path", "n_items", "depth", "leaf_id")
+    prefixes = words.select("bucket", path_bits(F.col("word"), cfg).alias("b"), "n").select("bucket", F.explode(F.transform(F.sequence(F.lit(0), F.lit(cfg.max_depth)), lambda d: F.substring("b", F.lit(1), d))).alias("path"), "n")
+    grown = cut(old.join(prefixes.groupBy("bucket", "path").agg(F.sum("n").alias("more")), ["bucket", "path"], "left").withColumn("total", F.col("n_items") + F.coalesce("more", F.lit(0))))
+    over = cut(grown.where((F.col("total") > cfg.theta) & (F.col("depth") < cfg.max_depth) & F.col("leaf_id").isNotNull()).select("bucket", "path", "leaf_id"))
+    routed = words.join(old.select("bucket").distinct(), "bucket", "left_anti").withColumn("path", F.lit(""))
+    held = index.by_leaf.select("leaf_id", "word").join(small(over), "leaf_id").select("bucket", "path", "word", F.lit(1).cast("bigint").alias("n"))
+    routed = routed.unionByName(held.unionByName(assign(words.select("bucket", "word"), more, index.nodes, cfg).join(small(over), "leaf_id").join(more.select("series_id", "word"), "series_id").select("bucket", "path", "word", F.lit(1).cast("bigint").alias("n"))).select("bucket", "word", "n", "path"))
+    fresh = split_leaves(routed.groupBy("bucket", "path", "word").agg(F.sum("n").alias("n")), cfg)
+    kept = grown.join(over.select("bucket", "path"), ["bucket", "path"], "left_anti").select("bucket", "path", F.col("total").alias("n_items"))
+    nodes = forest(node_shapes(kept.unionByName(fresh), cfg), cfg)
+    # leaves that stay keep their ids; new ones get ids above all old ones
+    top = (index.nodes.agg(F.max("leaf_id")).first()[0] or 0) + 1
+    ids = old.where("leaf_id is not null").join(over.select("leaf_id"), "leaf_id", "left_anti").select("bucket", "path", F.col("leaf_id").alias("_was"))
+    nodes = cut(nodes.join(ids, ["bucket", "path"], "left").withColumn("leaf_id", F.when(F.col("leaf_id").isNotNull(), F.coalesce("_was", F.col("leaf_id") + top))).drop("_was"))
+    moved = index.by_leaf.join(small(over.select("leaf_id")), "leaf_id", "left_semi").select("series_id", "word", "values").unionByName(full.select("series_id", "word", "values"))
+    bucket = F.aggregate(F.transform("word", lambda x, j: F.call_function("shiftleft", F.call_function("shiftright", x, F.lit(cfg.bits - 1)), F.lit(cfg.w - 1) - j)), F.lit(0), lambda a, x: a + x)
+    placed = moved.select("series_id", "word", bucket.alias("bucket"))
+    changed = cut(cluster_by_leaf(moved, assign(placed.select("bucket", "word").distinct(), placed, nodes, cfg)))
+    return replace(index, summaries=summaries, nodes=nodes, by_leaf=index.by_leaf.join(small(over.select("leaf_id")), "leaf_id", "left_anti").unionByName(changed))

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import tempfile
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -10,9 +12,12 @@ BROADCAST_ROWS = 200_000
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The checkpoint folder the cluster names; one of our own only where none is set, as in tests."""
+    """The checkpoint folder the cluster names; one of our own only on a single machine that names none."""
     if spark.sparkContext.getCheckpointDir() is None:
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints")
+        named, master = spark.conf.get("spark.checkpoint.dir", None), spark.sparkContext.master
+        if not named and (not master.startswith("local") or master.startswith("local-cluster")):
+            raise RuntimeError("name a folder that all executors share in spark.checkpoint.dir")
+        spark.sparkContext.setCheckpointDir(named or tempfile.mkdtemp(prefix="checkpoints-"))
     return spark.sparkContext.getCheckpointDir()
 
 
@@ -30,7 +35,6 @@ def small(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
 def ship(spark: SparkSession) -> None:
     """Makes this package importable on executors that weren't started with it on their path; once a session."""
     import os
-    import tempfile
     import zipfile
 
     sc = spark.sparkContext
