@@ -1,8 +1,10 @@
 """The competitors: the same four stages under other ways to share the work. All give the same answers.
 
-What differs in Spark is the number and grain of partitions, how the output is clustered, whether a
-ledger and helpers run, and whether there is one global order or many local ones. Costs of atomic
-instructions have no counterpart here; the simulator holds those.
+barrier and leaf_lock are Spark's own tasks and stage barrier over whole buckets or pieces of them. static_split,
+counter_claim and cas_claim share one buffer, as large as the collection, by done flags, a counter or claims; their trees
+take series one by one, with or without a flag at the parent for each insert; one queue serves their queries.
+direct_insert has no buffer at all. What an atomic instruction costs has no counterpart here; how many claims, looks
+and losses there are is counted.
 """
 
 from __future__ import annotations
@@ -17,11 +19,13 @@ from pyspark.sql import functions as F
 from ..config import IndexConfig
 from ..session import cut
 from . import index as X
+from . import staged as G
 from .index import SeriesIndex, subtree
 from .parts import Fault, Stage, run_parts
 
-STRATEGIES = ("helping", "barrier", "leaf_lock", "static_split", "counter_claim", "cas_claim", "direct_insert")
+STRATEGIES = ("helping", "barrier", "leaf_lock", "static_split", "counter_claim", "cas_claim", "direct_insert", "platform")
 MODES = ("leaf", "subtree", "standard", "private")
+CLAIMS = {"static_split": "circle", "counter_claim": "counter", "cas_claim": "cas"}
 TREE = "bucket int, path string, n_items bigint"
 
 
@@ -35,90 +39,104 @@ def subtrees_by_bucket(summaries: DataFrame, cfg: IndexConfig) -> DataFrame:
     return summaries.select("bucket", "word").groupBy("bucket").applyInPandas(build, TREE)
 
 
-def subtrees_by_pieces(summaries: DataFrame, cfg: IndexConfig, top: int = 3) -> DataFrame:
-    """Several tasks a bucket: each builds the tree below one prefix of ``top`` bits; the few nodes above
-    come from counts. Prefixes whose ancestors don't split are folded back into them."""
-    top = min(top, cfg.max_depth)
-    keyed = summaries.select("bucket", "word", F.substring(X.path_bits(F.col("word"), cfg), 1, top).alias("head"))
+def subtrees_by_pieces(summaries: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """Several tasks a bucket: each builds the tree below one prefix of a few bits; the nodes above come from counts."""
+    return G.assemble(G.pieces(G.heads(summaries, cfg), cfg), cfg)
+
+
+def inserted(words: np.ndarray, cfg: IndexConfig, flagged: bool = False) -> tuple[dict[str, int], dict[str, int]]:
+    """(items of each node, counts of work) of one bucket's tree that takes its words one by one. ``flagged``: each insert
+    raises and lowers a flag at the leaf's parent, so that a split and an insert don't meet; else only splits are marked."""
+    items, held, done = {"": 0}, {"": []}, {"inserts": 0, "splits": 0, "flags": 0}
+    for k in range(len(words)):
+        path = ""
+        while True:
+            items[path] += 1
+            if path in held:
+                break
+            d = len(path)
+            path += str((words[k, d % cfg.w] >> (cfg.bits - 2 - d // cfg.w)) & 1)
+        held[path].append(k)
+        done["inserts"] += 1
+        done["flags"] += 2 * flagged
+        work = [path]
+        while work:
+            path = work.pop()
+            d = len(path)
+            if len(held[path]) > cfg.theta and d < cfg.max_depth:
+                done["splits"] += 1
+                done["flags"] += 1
+                mine = held.pop(path)
+                bit = (words[mine, d % cfg.w] >> (cfg.bits - 2 - d // cfg.w)) & 1
+                for side in (0, 1):
+                    child = path + str(side)
+                    held[child] = [m for m, b in zip(mine, bit, strict=True) if b == side]
+                    items[child] = len(held[child])
+                    work.append(child)
+    return items, done
+
+
+def trees_one_by_one(summaries: DataFrame, cfg: IndexConfig, flagged: bool = False) -> DataFrame:
+    """(bucket, path, n_items, inserts, splits, flags): element-wise inserts; the counts stand at each tree's root."""
 
     def build(pdf: pd.DataFrame) -> pd.DataFrame:
-        head = pdf["head"].iloc[0]
-        nodes = subtree(np.stack(pdf.word.to_numpy()), np.ones(len(pdf), dtype=np.int64), cfg, head, top)
-        return pd.DataFrame({"bucket": int(pdf.bucket.iloc[0]), "path": [p for p, _ in nodes], "n_items": [n for _, n in nodes]})
+        items, done = inserted(np.stack(pdf.word.to_numpy()), cfg, flagged)
+        out = pd.DataFrame({"bucket": int(pdf.bucket.iloc[0]), "path": list(items), "n_items": list(items.values())})
+        for name, n in done.items():
+            out[name] = np.where(out.path == "", n, 0)
+        return out
 
-    deep = keyed.groupBy("bucket", "head").applyInPandas(build, TREE)
-    heads = keyed.groupBy("bucket", "head").agg(F.count(F.lit(1)).alias("n"))
-    upper = heads.select("bucket", F.explode(F.transform(F.sequence(F.lit(0), F.lit(top - 1)), lambda d: F.substring("head", F.lit(1), d))).alias("path"), "n").groupBy("bucket", "path").agg(F.sum("n").alias("n_items"))
-    counted = cut(upper.unionByName(deep))
-    # a node exists if all of its ancestors split; the sibling of an existing child may have no items
-    splits = counted.where((F.col("n_items") > cfg.theta) & (F.length("path") < cfg.max_depth))
-    roots = counted.where("path = ''")
-    children = splits.select("bucket", F.explode(F.array(F.concat("path", F.lit("0")), F.concat("path", F.lit("1")))).alias("path"))
-    return roots.unionByName(children.join(counted, ["bucket", "path"], "left").select("bucket", "path", F.coalesce("n_items", F.lit(0)).alias("n_items")))
+    return summaries.select("bucket", "word").groupBy("bucket").applyInPandas(build, TREE + ", inserts bigint, splits bigint, flags bigint")
 
 
-def summarize(series: DataFrame, cfg: IndexConfig, strategy: str, workers: int = 4, fault: Fault | None = None) -> DataFrame:
+def summarize(series: DataFrame, cfg: IndexConfig, strategy: str, workers: int = 2, fault: Fault | None = None, run: G.Run | None = None) -> DataFrame:
     """Summaries with values under a way to share the collection.
 
-    helping: contiguous parts with a ledger and helpers. barrier, leaf_lock: Spark's own tasks and stage
-    barrier. static_split: as many parts as workers. counter_claim, cas_claim: many small parts taken from
-    the queue, one buffer. direct_insert: as barrier, its tree step takes series one by one.
+    helping: chunks with a ledger and helpers, each laid out by bucket. static_split, counter_claim, cas_claim: parts of one
+    buffer in the collection's order, shared as :func:`run_parts` says; static_split has a part a worker, the others
+    many. barrier, leaf_lock: Spark's tasks and barrier. platform: the same, with what Spark itself does for late and failed
+    tasks. direct_insert: nothing is kept for the tree.
     """
+    run = run if run is not None else G.Run()
     if strategy == "helping":
-        stage = Stage(series.sparkSession, "summaries")
-        part = F.pmod(F.xxhash64("series_id"), F.lit(cfg.k_chunks))
-        run_parts(stage, range(cfg.k_chunks), lambda p: X.summarize(series.where(part == p), cfg, True), owners=2, fault=fault, backoff_factor=cfg.backoff_factor)
+        return G.summaries_stage(run, series, cfg, fault, owners=workers)
+    if strategy in CLAIMS:
+        n = workers if strategy == "static_split" else 4 * cfg.k_chunks // 2
+        stage = run.stages["summarize"] = Stage(series.sparkSession, "buffer")
+        run.ledgers["summarize"] = run_parts(stage, range(n), lambda p: X.summarize(series.where(G.part_of("series_id", n) == p), cfg, True), owners=workers, fault=fault, claim=CLAIMS[strategy])
         return stage.read().select("series_id", "paa", "word", "bucket", "values")
-    if strategy == "static_split":
-        series = series.repartition(workers)
-    elif strategy in ("counter_claim", "cas_claim"):
-        series = series.repartition(workers * (16 if strategy == "counter_claim" else 8), "series_id")
-    return cut(X.summarize(series, cfg, True))
+    full = X.summarize(series, cfg, True)
+    return full if strategy == "direct_insert" else cut(full)
 
 
-def tree(summaries: DataFrame, cfg: IndexConfig, strategy: str) -> DataFrame | None:
+def tree(summaries: DataFrame, cfg: IndexConfig, strategy: str, flagged: bool = False, fault: Fault | None = None, run: G.Run | None = None, workers: int = 2) -> DataFrame | None:
     """Node counts by the strategy, or None where the level-wise builder does it."""
+    if strategy == "helping":
+        return G.tree_stage(run if run is not None else G.Run(), summaries, cfg, cfg.mode, fault, owners=workers)
     if strategy == "barrier":
         return subtrees_by_bucket(summaries, cfg)
-    if strategy in ("leaf_lock", "direct_insert"):
+    if strategy == "leaf_lock":
         return subtrees_by_pieces(summaries, cfg)
+    if strategy in CLAIMS or strategy == "direct_insert":
+        return trees_one_by_one(summaries, cfg, flagged).select("bucket", "path", "n_items")
     return None
 
 
 def tree_by_parts(summaries: DataFrame, cfg: IndexConfig, mode: str, fault: Fault | None = None, parts: int = 4) -> tuple[DataFrame, DataFrame]:
-    """(node counts, ledger): the tree built in ledgered parts under one of the four modes.
+    """(node counts, ledger): the tree built in ledgered parts under one of the four modes."""
+    run = G.Run()
+    raw = G.tree_stage(run, summaries, cfg, mode, fault, parts)
+    return raw, run.ledgers["tree"]
 
-    subtree: parts of whole buckets. leaf: parts of pieces of buckets, so others can help inside one.
-    standard: pieces whose every attempt is kept and copies are dropped by readers. private: pieces
-    built in a folder of their own and published by one rename (the done marker); losers are dropped.
-    """
-    stage = Stage(summaries.sparkSession, f"tree-{mode}")
-    words = cut(summaries.select("bucket", "word"))
-    if mode == "subtree":
-        of = F.pmod(F.xxhash64("bucket"), F.lit(parts))
-        ledger = run_parts(stage, range(parts), lambda p: subtrees_by_bucket(words.where(of == p), cfg), fault=fault, backoff_factor=cfg.backoff_factor)
-        return stage.read().select("bucket", "path", "n_items"), ledger
-    # pieces: the words below each prefix of three bits, with the counts above them
-    head = F.substring(X.path_bits(F.col("word"), cfg), 1, min(3, cfg.max_depth))
-    of = F.pmod(F.xxhash64("bucket", head), F.lit(parts))
-    def make(p):
-        return words.where(of == p).select("bucket", "word").withColumn("n", F.lit(1)).groupBy("bucket", "word").agg(F.sum("n").alias("n"))
-
-    ledger = run_parts(stage, range(parts), make, fault=fault, backoff_factor=cfg.backoff_factor)
-    held = stage.attempts() if mode == "standard" else stage.read()
-    held = held.groupBy("bucket", "word").agg(F.max("n").alias("n")) if mode == "standard" else held
-    raw = X._round_robin(held.select("bucket", "word", "n"), cfg)
-    return raw.select("bucket", "path", "n_items"), ledger
-
-
-def build(series: DataFrame, cfg: IndexConfig, strategy: str | None = None, mode: str | None = None, workers: int = 4, fault: Fault | None = None) -> SeriesIndex:
+
+def build(series: DataFrame, cfg: IndexConfig, strategy: str | None = None, mode: str | None = None, workers: int = 2, fault: Fault | None = None, flagged: bool = False) -> SeriesIndex:
     """An index of any strategy or tree mode; equal trees and equal answers for all of them."""
     strategy = strategy or cfg.strategy
     if cfg.split_policy != "round_robin":
         return X.build(series, cfg)
     full = summarize(series, cfg, strategy, workers, fault if mode is None else None)
     summaries = full.select("series_id", "paa", "word", "bucket")
-    counts = tree_by_parts(summaries, cfg, mode, fault)[0] if mode else tree(summaries, cfg, strategy)
+    counts = tree_by_parts(summaries, cfg, mode, fault)[0] if mode else tree(summaries, cfg, strategy, flagged, workers=workers)
     nodes, assignments = X.populate(summaries, cfg, None if counts is None else X.node_shapes(counts, cfg))
-    queues = 1 if strategy in ("static_split", "counter_claim", "cas_claim", "direct_insert") else cfg.queues
+    queues = 1 if strategy in (*CLAIMS, "direct_insert") else cfg.queues
     return SeriesIndex(replace(cfg, queues=queues), summaries, nodes, cut(X.cluster_by_leaf(full.select("series_id", "word", "values"), assignments)))

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+import uuid
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
@@ -11,10 +12,12 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..session import shared_folder
 from ..sources.tables import materialize
 from . import baselines as B
 from . import index as X
 from . import search as Q
+from . import staged as G
 from .parts import Fault
 
 MEASURES = T.StructType([T.StructField("workload", T.StringType()), T.StructField("method", T.StringType()), T.StructField("param", T.StringType()), T.StructField("rep", T.IntegerType()), T.StructField("measure", T.StringType()), T.StructField("value", T.DoubleType())])
@@ -44,28 +47,47 @@ def summary(measures: DataFrame) -> DataFrame:
     return measures.groupBy("workload", "method", "param", "measure").agg(F.avg("value").alias("mean"), F.stddev_pop("value").alias("dev"), F.count(F.lit(1)).alias("reps"))
 
 
-def run_phases(rec: Recorder, workload: str, param, series: DataFrame, queries: DataFrame, cfg, strategy: str, mode: str | None = None, reps: int = 1, fault: Fault | None = None, k: int = 1) -> DataFrame:
-    """Times summarization, tree and query answering of a method and their sum; returns the last answers."""
+def run_phases(rec: Recorder, workload: str, param, series: DataFrame, queries: DataFrame, cfg, strategy: str, mode: str | None = None, reps: int = 1, fault: Fault | None = None, k: int = 1, faults: dict[str, Fault] | None = None, workers: int = 2) -> DataFrame:
+    """Times summarization, tree and query answering of a method and their sum; returns the last answers. ``faults``
+    names a stage each (``fault`` alone: summarization); helps, copies and the counts of claims are recorded too."""
     answers = None
     name = mode and f"{mode}-mode" or strategy
+    faults = faults or ({"tree" if mode else "summarize": fault} if fault else {})
     for rep in range(reps):
-        full = rec.timed(workload, name, param, rep, "summarize_s", lambda: B.summarize(series, cfg, strategy, fault=fault if mode is None else None))
+        run = G.Run()
+        full = rec.timed(workload, name, param, rep, "summarize_s", lambda run=run: B.summarize(series, cfg, strategy, workers, faults.get("summarize"), run))
         summaries = full.select("series_id", "paa", "word", "bucket")
 
-        def tree(full=full, summaries=summaries):
-            counts = B.tree_by_parts(summaries, cfg, mode, fault)[0] if mode else B.tree(summaries, cfg, strategy)
+        def tree(full=full, summaries=summaries, run=run):
+            counts = G.tree_stage(run, summaries, cfg, mode, faults.get("tree")) if mode else B.tree(summaries, cfg, strategy, fault=faults.get("tree"), run=run, workers=workers)
             nodes, at = X.populate(summaries, cfg, None if counts is None else X.node_shapes(counts, cfg))
             by_leaf = X.cut(X.cluster_by_leaf(full.select("series_id", "word", "values"), at))
             return X.SeriesIndex(cfg, summaries, nodes, by_leaf)
 
-        index = rec.timed(workload, name, param, rep, "tree_s", tree)
-        answers = rec.timed(workload, name, param, rep, "query_s", lambda index=index: Q.knn(index, queries, k))
+        run.index = rec.timed(workload, name, param, rep, "tree_s", tree)
+        answers = rec.timed(workload, name, param, rep, "query_s", lambda run=run: ask(run, queries, strategy, k, faults))
         rec.put(workload, name, param, rep, "total_s", sum(r[5] for r in rec.rows[-3:]))
-        for m, v in pruning(index, queries, k).items():
+        for m, v in pruning(run.index, queries, k).items():
             rec.put(workload, name, param, rep, m, v)
+        for stage, ledger in run.ledgers.items():
+            got = load_balance(ledger).first()
+            rec.put(workload, name, param, rep, f"{stage}_helps", got.helps or 0)
+            rec.put(workload, name, param, rep, f"{stage}_copies", got.wasted or 0)
+        for stage, held in run.stages.items():
+            for what, n in held.counts.items():
+                rec.put(workload, name, param, rep, f"{stage}_{what}", n)
     return answers
 
 
+def ask(run: G.Run, queries: DataFrame, strategy: str, k: int = 1, faults: dict[str, Fault] | None = None) -> DataFrame:
+    """Answers by the way a strategy has to prune and refine."""
+    if strategy == "helping":
+        return G.ask(run, queries, k, faults).answers
+    if strategy in B.CLAIMS:
+        return G.single_queue(run, queries, k, (faults or {}).get("prune")).answers
+    return Q.knn(run.index, queries, k)
+
+
 def pruning(index: X.SeriesIndex, queries: DataFrame, k: int = 1) -> dict[str, float]:
     """Shares of leaves and of members that bounds rule out at the first best-so-far, and bound computations a query."""
     q = Q.Queries.of(queries, index.cfg)
@@ -99,11 +121,17 @@ def speed_up(measures: DataFrame) -> DataFrame:
     return summary(measures).withColumn("speed_up", first / F.col("mean")).withColumn("efficiency", F.col("speed_up") * F.first(workers).over(w) / workers)
 
 
-def index_bytes(index: X.SeriesIndex) -> dict[str, float]:
-    """Bytes of summaries and nodes as plain values, against the raw series."""
-    n, leaves = index.by_leaf.count(), index.nodes.count()
-    raw, summary_ = n * index.cfg.n * 8, n * (8 + index.cfg.w + 4)
-    return {"raw": raw, "summaries": summary_, "nodes": leaves * (index.cfg.w * 18 + 40), "share": summary_ / raw if raw else float(np.nan)}
+def index_bytes(index: X.SeriesIndex, folder: str | None = None) -> dict[str, float]:
+    """Bytes of the tables as Parquet files, and the share of summaries and nodes in the values; written to the shared folder."""
+    spark, out = index.nodes.sparkSession, {}
+    folder = folder or f"{shared_folder(spark)}/sizes-{uuid.uuid4()}"
+    at = spark._jvm.org.apache.hadoop.fs.Path
+    fs = at(folder).getFileSystem(spark._jsc.hadoopConfiguration())
+    for name, df in (("raw", index.by_leaf.select("series_id", "values")), ("summaries", index.summaries.select("series_id", "word")), ("nodes", index.nodes)):
+        df.write.parquet(f"{folder}/{name}")
+        out[name] = float(fs.getContentSummary(at(f"{folder}/{name}")).getLength())
+    fs.delete(at(folder), True)
+    return out | {"share": (out["summaries"] + out["nodes"]) / out["raw"] if out["raw"] else float(np.nan)}
 
 
 __all__ = ["Fault", "MEASURES", "Recorder", "materialize", "pruning", "recall", "run_phases", "speed_up", "summary"]

@@ -159,9 +159,9 @@ def refine(queued: DataFrame, index: SeriesIndex, q: Queries, bsf: np.ndarray, k
                 if at != tuple(key[lo]):
                     at, best, over = tuple(key[lo]), np.zeros(0), False
                 which = int(np.searchsorted(ids, at[1]))
-                for s in range(lo, hi, 256):
+                for s in range(lo, hi, 32):
                     limit = min(bsf[which], best[k - 1] if len(best) >= k else np.inf)
-                    e = min(s + 256, hi)
+                    e = min(s + 32, hi)
                     e = s + int(np.searchsorted(lb[s:e] * (1 - slack), limit, side="right"))
                     if over or e == s:
                         over = True

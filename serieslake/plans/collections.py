@@ -32,6 +32,11 @@ def _once(t: Tables, key: tuple, make):
     return _kept[key]
 
 
+def forget() -> None:
+    """Drops what is kept of tables and indexes, so that the next query builds its own."""
+    _kept.clear()
+
+
 def series(t: Tables, name: str) -> DataFrame:
     """(series_id, values) of a collection, whole."""
 

@@ -11,10 +11,12 @@ from ..functions import summaries as S
 from ..functions.registry import register
 from ..operators import baselines as B
 from ..operators import index as X
+from ..operators import measures as M
 from ..operators import parts as P
 from ..operators import search as Q
 from ..operators import series as R
 from ..operators import simulate as Z
+from ..operators import staged as G
 from ..session import shared_folder
 from ..sources import tables as src
 from . import collections as C
@@ -294,9 +296,52 @@ query(sql("vec64", _nearest(1), z=False), name="nn1_raw_vectors")(lambda t: _ans
 
 _NN1 = {name: sql(name, _nearest(1)) for name in ("walk64", "parts64")}
 for _strategy in B.STRATEGIES:
-    query(_NN1["parts64"], name=f"nn1_parts64_{_strategy}")(lambda t, _strategy=_strategy: _answers(Q.nn1(C.index(t, "parts64", _strategy), C.parted(t, "parts64")[1])))
+    query(_NN1["parts64"], name=f"nn1_parts64_{_strategy}")(lambda t, _strategy=_strategy: _answers(M.ask(G.Run(index=C.index(t, "parts64", _strategy)), C.parted(t, "parts64")[1], _strategy)))
 for _mode in B.MODES:
     query(_NN1["walk64"], name=f"nn1_walk64_{_mode}_mode")(lambda t, _mode=_mode: _answers(Q.nn1(C.index(t, "walk64", mode=_mode), C.parted(t, "walk64")[1])))
+for _stage in G.STAGES:
+    for _name, _fault in (("delayed", P.Fault({0: 0.5})), ("dead", P.Fault(dead=frozenset([0])))):
+        query(_NN1["parts64"], name=f"nn1_parts64_{_stage}_{_name}")(lambda t, _stage=_stage, _fault=_fault: _answers(_with_fault(t, "parts64", _stage, _fault)))
+
+
+def _with_fault(t: Tables, name: str, stage: str, fault: P.Fault) -> DataFrame:
+    """Nearest neighbours with a late or dead worker in one stage; the stages before it are taken from the plain index."""
+    base, ask = C.parted(t, name)
+    if stage in ("summarize", "tree"):
+        return G.answer(base, ask, C.CONFIGS[name], faults={stage: fault}).answers
+    return G.ask(G.Run(index=C.index(t, name)), ask, faults={stage: fault}).answers
+
+
+@query(sql("walk64", "SELECT CAST(bucket AS BIGINT) AS bucket, path, n_items FROM ranked", tree=True))
+def tree_nodes_by_inserts(t: Tables):
+    """Two thirds are built at once, the rest is inserted in two batches."""
+    base, cfg = C.parted(t, "walk64")[0], C.CONFIGS["walk64"]
+    ix = X.build(base.where("series_id % 6 < 4"), cfg)
+    for r in (4, 5):
+        ix = X.insert_batch(ix, base.where(f"series_id % 6 = {r}"))
+    return ix.nodes.select(F.col("bucket").cast("bigint").alias("bucket"), "path", "n_items")
+
+
+@query(sql("walk64", """SELECT tree, CAST((SELECT count(*) FROM base) AS BIGINT) AS inserts, CAST(sum((NOT is_leaf)::INT) AS BIGINT) AS splits,
+  CAST(sum((NOT is_leaf)::INT) + CASE WHEN tree = 'flagged' THEN 2 * (SELECT count(*) FROM base) ELSE 0 END AS BIGINT) AS flags
+  FROM ranked, (VALUES ('flagged'), ('own')) v(tree) GROUP BY tree""", tree=True))
+def insert_costs(t: Tables):
+    """What taking series one by one costs: inserts, splits, and flags raised and lowered."""
+    words = C.index(t, "walk64").summaries
+    out = [B.trees_one_by_one(words, C.CONFIGS["walk64"], kind == "flagged").agg(*(F.sum(c).alias(c) for c in ("inserts", "splits", "flags"))).select(F.lit(kind).alias("tree"), "inserts", "splits", "flags") for kind in ("flagged", "own")]
+    return out[0].unionByName(out[1])
+
+
+@query(sql("walk64", """SELECT 'summarize' AS stage, CAST((SELECT count(*) FROM base) AS BIGINT) AS elements, CAST(0 AS BIGINT) AS undone
+UNION ALL SELECT 'tree', CAST((SELECT count(*) FROM base) AS BIGINT), CAST(0 AS BIGINT)""", tree=False))
+def helped_elements(t: Tables):
+    """Series that the helped stages with a dead worker hand on, each once: by summaries, and by items of the tree's leaves."""
+    run = G.build(C.parted(t, "walk64")[0], C.CONFIGS["walk64"], faults={s: P.Fault(dead=frozenset([0])) for s in ("summarize", "tree")})
+    n = {"summarize": run.index.summaries.agg(F.count(F.lit(1)).alias("n")), "tree": run.index.nodes.where("is_leaf").agg(F.sum("n_items").alias("n"))}
+    parts = [df.select(F.lit(s).alias("stage"), F.col("n").alias("elements"), F.lit(run.ledgers[s].where("not done").count()).cast("bigint").alias("undone")) for s, df in n.items()]
+    return parts[0].unionByName(parts[1])
+
+
 _VARIANTS = {
     "levelwise": lambda t: Q.nn1(C.index(t, "walk64"), C.parted(t, "walk64")[1], levelwise=True),
     "one_queue": lambda t: Q.nn1(C.index(t, "walk64", queues=1), C.parted(t, "walk64")[1]),
@@ -304,6 +349,9 @@ _VARIANTS = {
     "seed_none": lambda t: Q.nn1(C.index(t, "walk64", seed_how="none"), C.parted(t, "walk64")[1]),
     "seed_best_lb": lambda t: Q.nn1(C.index(t, "walk64", seed_how="best_lb"), C.parted(t, "walk64")[1]),
     "balanced": lambda t: Q.nn1(C.index(t, "walk64", split_policy="balanced"), C.parted(t, "walk64")[1]),
+    "single_queue": lambda t: G.single_queue(G.Run(index=C.index(t, "walk64")), C.parted(t, "walk64")[1]).answers,
+    "flagged_tree": lambda t: Q.nn1(B.build(C.parted(t, "walk64")[0], C.CONFIGS["walk64"], "cas_claim", flagged=True), C.parted(t, "walk64")[1]),
+    "incremental": lambda t: Q.nn1(X.insert_batch(X.build(C.parted(t, "walk64")[0].where("series_id % 2 = 0"), C.CONFIGS["walk64"]), C.parted(t, "walk64")[0].where("series_id % 2 = 1")), C.parted(t, "walk64")[1]),
     "scan": lambda t: Q.scan_knn(C.index(t, "walk64"), C.parted(t, "walk64")[1]),
     "brute": lambda t: Q.brute_knn(*C.parted(t, "walk64"), 1, C.CONFIGS["walk64"]),
 }
@@ -516,3 +564,15 @@ def src_walk_generator(t: Tables):
     """Generated walks don't depend on how they are dealt to tasks."""
     a, b = (src.random_walks(t.spark, 300, 64, 7, p) for p in (2, 5))
     return a.join(b.withColumnRenamed("values", "other"), "series_id").select("series_id", (F.col("values") == F.col("other")).alias("same"))
+
+
+@query("SELECT CAST(r AS BIGINT) AS rate, CAST(2 + 5 * r AS DOUBLE) AS makespan FROM (SELECT unnest(range(0, 6)) AS r)")
+def sim_delay_rate(t: Tables):
+    """Several delays a worker: the barrier pays each of them."""
+    return t.spark.createDataFrame([(r, Z.simulate([1.0] * 8, "barrier", 4, Z.at_rate({0: 5.0}, r)).makespan) for r in range(6)], "rate bigint, makespan double")
+
+
+@query("SELECT CAST(w AS BIGINT) AS workers, 12.0::DOUBLE AS makespan FROM (SELECT unnest([4, 8, 16]) AS w)")
+def sim_oversubscribed(t: Tables):
+    """More workers than cores take the same time, each at a share of a core."""
+    return t.spark.createDataFrame([(w, Z.oversubscribed([1.0] * 48, "counter_claim", w, 4).makespan) for w in (4, 8, 16)], "workers bigint, makespan double")

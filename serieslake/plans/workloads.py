@@ -11,9 +11,11 @@ from dataclasses import replace
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..operators import baselines as B
 from ..operators import measures as M
 from ..operators import search as Q
 from ..operators import simulate as Z
+from ..operators import staged as G
 from ..operators.parts import Fault
 from ..session import cut
 from ..sources import tables as src
@@ -34,9 +36,16 @@ def _run(t: Tables, workload: str, name: str, methods, param="", queries: DataFr
 
 @query()
 def w1_workers(t: Tables):
-    """Workers: makespans of the three indexes for 1 to 24 workers, replayed over uneven parts."""
-    cases = [dict(scenario="workers", policy=p, workers=w) for p in ("helping", "barrier", "leaf_lock") for w in (1, 2, 4, 8, 12, 16, 20, 24)]
-    return Z.scenarios(t.spark, UNITS, cases)
+    """Workers: phases of the helping index with 1, 2 and 4 owners in Spark, and makespans of the three indexes for 1 to 24
+    workers, replayed over uneven parts."""
+    rec = M.Recorder()
+    base, ask = C.parted(t, "walk64")
+    for w in (1, 2, 4):
+        M.run_phases(rec, "workers", w, base, ask, C.CONFIGS["walk64"], "helping", workers=w)
+    for p in ("helping", "barrier", "leaf_lock"):
+        for w in (1, 2, 4, 8, 12, 16, 20, 24):
+            rec.put("workers", f"{p} (replayed)", w, 0, "makespan", Z.simulate(UNITS, p, w).makespan)
+    return rec.df(t.spark)
 
 
 @query()
@@ -77,27 +86,69 @@ def w4_hardness(t: Tables):
 
 @query()
 def w5_tree_modes(t: Tables):
-    """The tree build under its four modes, on the skewed collection."""
+    """The tree build under its four modes, on the skewed collection, undisturbed and with a late worker."""
     rec = M.Recorder()
     base, ask = C.parted(t, "parts64")
-    for mode in ("leaf", "subtree", "standard", "private"):
-        M.run_phases(rec, "tree modes", "parts64", base, ask, C.CONFIGS["parts64"], "level", mode)
+    for late in (0.0, 1.0):
+        for mode in ("leaf", "subtree", "standard", "private"):
+            M.run_phases(rec, "tree modes", late, base, ask, C.CONFIGS["parts64"], "level", mode, faults={"tree": Fault(delays={0: late})} if late else None)
     return rec.df(t.spark)
 
 
 @query()
 def w6_stage_baselines(t: Tables):
-    """Against the baselines of each stage; total and by phase."""
+    """Against the baselines of each stage; total, by phase, and what sharing cost."""
     return _run(t, "stage baselines", "walk64", ("helping", "static_split", "counter_claim", "cas_claim", "direct_insert")).df(t.spark)
 
 
+@query()
+def w6a_summarization(t: Tables):
+    """Summarization alone: helped chunks laid out by bucket against one buffer under flags, counter and claims."""
+    rec = M.Recorder()
+    base, _ = C.parted(t, "walk64")
+    for m in ("helping", "static_split", "counter_claim", "cas_claim"):
+        run = G.Run()
+        rec.timed("summarization", m, "", 0, "summarize_s", lambda m=m, run=run: B.summarize(base, C.CONFIGS["walk64"], m, run=run))
+        for what, n in run.stages["summarize"].counts.items():
+            rec.put("summarization", m, "", 0, what, n)
+    return rec.df(t.spark)
+
+
+@query()
+def w6b_tree(t: Tables):
+    """Tree population alone: helped pieces against element-wise inserts with and without flags."""
+    rec = M.Recorder()
+    words, cfg = C.index(t, "walk64").summaries, C.CONFIGS["walk64"]
+    rec.timed("tree population", "helping", "", 0, "tree_s", lambda: M.materialize(B.tree(words, cfg, "helping")))
+    for flagged in (False, True):
+        name = "element-wise, flagged" if flagged else "element-wise"
+        got = rec.timed("tree population", name, "", 0, "tree_s", lambda flagged=flagged: B.trees_one_by_one(words, cfg, flagged).agg(F.sum("inserts"), F.sum("splits"), F.sum("flags")).first())
+        for what, n in zip(("inserts", "splits", "flags"), got, strict=True):
+            rec.put("tree population", name, "", 0, what, n)
+    return rec.df(t.spark)
+
+
+@query()
+def w6c_queries(t: Tables):
+    """Query answering alone: helped queues against one queue that is emptied by delete-min."""
+    rec = M.Recorder()
+    ix, (_, ask) = C.index(t, "walk64"), C.parted(t, "walk64")
+    rec.timed("query answering", "helping", "", 0, "query_s", lambda: G.ask(G.Run(index=ix), ask))
+    run = rec.timed("query answering", "single queue", "", 0, "query_s", lambda: G.single_queue(G.Run(index=ix), ask))
+    for what, n in run.stages["prune"].counts.items():
+        rec.put("query answering", "single queue", "", 0, what, n)
+    return rec.df(t.spark)
+
+
 @query()
 def w7_one_delayed(t: Tables):
-    """One late worker, growing delay: in Spark with a helped ledger, and replayed for the barrier."""
+    """One late worker, growing delay, in summarization, tree, pruning and refinement: in Spark with helped ledgers, and
+    replayed for the barrier."""
     rec = M.Recorder()
     base, ask = C.parted(t, "walk64")
-    for d in (0.0, 1.0, 2.0):
-        M.run_phases(rec, "one delayed", d, base, ask, C.CONFIGS["walk64"], "helping", fault=Fault(delays={0: d}))
+    for stage in G.STAGES:
+        for d in (0.0, 1.0, 2.0):
+            M.run_phases(rec, f"one delayed in {stage}", d, base, ask, C.CONFIGS["walk64"], "helping", faults={stage: Fault(delays={0: d})})
     for p in ("barrier", "helping"):
         for d in (0, 5, 10, 20, 40):
             rec.put("one delayed", f"{p} (replayed)", d, 0, "makespan", Z.simulate(UNITS, p, 8, {0: float(d)}).makespan)
@@ -116,8 +167,9 @@ def w9_failures(t: Tables):
     rec = M.Recorder()
     base, ask = C.parted(t, "walk64")
     truth = Q.brute_knn(base, ask, 1, C.CONFIGS["walk64"])
-    got = M.run_phases(rec, "failures", 1, base, ask, C.CONFIGS["walk64"], "helping", fault=Fault(dead=frozenset([0])))
-    rec.put("failures", "helping", 1, 0, "recall", M.recall(got, truth).first()[0])
+    for stage in G.STAGES:
+        got = M.run_phases(rec, f"failures in {stage}", 1, base, ask, C.CONFIGS["walk64"], "helping", faults={stage: Fault(dead=frozenset([0]))})
+        rec.put(f"failures in {stage}", "helping", 1, 0, "recall", M.recall(got, truth).first()[0])
     for f in (0, 1, 4, 8, 16, 23):
         rec.put("failures", "helping (replayed)", f, 0, "makespan", Z.simulate(UNITS, "helping", 24, dead=frozenset(range(f))).makespan)
         rec.put("failures", "helping, live workers alone (replayed)", f, 0, "makespan", Z.simulate(UNITS, "helping", 24 - f).makespan)
