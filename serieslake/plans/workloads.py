@@ -34,14 +34,34 @@ def _run(t: Tables, workload: str, name: str, methods, param="", queries: DataFr
     return rec
 
 
+def _helped(rec: M.Recorder, t: Tables, workload: str, name: str, param, stages, faults=None, mode: str = "leaf", label: str = "helping", **options) -> DataFrame:
+    """Times the named helped stages over what the plain index has for the others; the answers of the last two."""
+    base, asked = C.parted(t, name)
+    ix, faults, run = C.index(t, name), faults or {}, G.Run()
+    if "summarize" in stages:
+        rec.timed(workload, label, param, 0, "summarize_s", lambda: G.summaries_stage(run, base, ix.cfg, faults.get("summarize"), **options))
+    if "tree" in stages:
+        rec.timed(workload, label, param, 0, "tree_s", lambda: M.materialize(G.tree_stage(run, ix.summaries, ix.cfg, mode, faults.get("tree"), **options)))
+    run.index = ix
+    if "refine" in stages:
+        rec.timed(workload, label, param, 0, "query_s", lambda: G.ask(run, asked, 1, faults, **options))
+    for stage, ledger in run.ledgers.items():
+        got = M.load_balance(ledger).first()
+        rec.put(workload, label, param, 0, f"{stage}_helps", got.helps or 0)
+        rec.put(workload, label, param, 0, f"{stage}_copies", got.wasted or 0)
+    return run.answers
+
+
+ALL = G.STAGES
+
+
 @query()
 def w1_workers(t: Tables):
     """Workers: phases of the helping index with 1, 2 and 4 owners in Spark, and makespans of the three indexes for 1 to 24
     workers, replayed over uneven parts."""
     rec = M.Recorder()
-    base, ask = C.parted(t, "walk64")
     for w in (1, 2, 4):
-        M.run_phases(rec, "workers", w, base, ask, C.CONFIGS["walk64"], "helping", workers=w)
+        _helped(rec, t, "workers", "walk64", w, ALL, owners=w)
     for p in ("helping", "barrier", "leaf_lock"):
         for w in (1, 2, 4, 8, 12, 16, 20, 24):
             rec.put("workers", f"{p} (replayed)", w, 0, "makespan", Z.simulate(UNITS, p, w).makespan)
@@ -88,10 +108,9 @@ def w4_hardness(t: Tables):
 def w5_tree_modes(t: Tables):
     """The tree build under its four modes, on the skewed collection, undisturbed and with a late worker."""
     rec = M.Recorder()
-    base, ask = C.parted(t, "parts64")
     for late in (0.0, 1.0):
         for mode in ("leaf", "subtree", "standard", "private"):
-            M.run_phases(rec, "tree modes", late, base, ask, C.CONFIGS["parts64"], "level", mode, faults={"tree": Fault(delays={0: late})} if late else None)
+            _helped(rec, t, "tree modes", "parts64", late, ("tree",), {"tree": Fault(delays={0: late})} if late else None, mode, f"{mode}-mode")
     return rec.df(t.spark)
 
 
@@ -145,10 +164,9 @@ def w7_one_delayed(t: Tables):
     """One late worker, growing delay, in summarization, tree, pruning and refinement: in Spark with helped ledgers, and
     replayed for the barrier."""
     rec = M.Recorder()
-    base, ask = C.parted(t, "walk64")
-    for stage in G.STAGES:
-        for d in (0.0, 1.0, 2.0):
-            M.run_phases(rec, f"one delayed in {stage}", d, base, ask, C.CONFIGS["walk64"], "helping", faults={stage: Fault(delays={0: d})})
+    for stage, timed in (("summarize", ("summarize",)), ("tree", ("tree",)), ("prune", ("refine",)), ("refine", ("refine",))):
+        for d in (0.0, 2.0):
+            _helped(rec, t, f"one delayed in {stage}", "walk64", d, timed, {stage: Fault(delays={0: d})})
     for p in ("barrier", "helping"):
         for d in (0, 5, 10, 20, 40):
             rec.put("one delayed", f"{p} (replayed)", d, 0, "makespan", Z.simulate(UNITS, p, 8, {0: float(d)}).makespan)
@@ -167,9 +185,9 @@ def w9_failures(t: Tables):
     rec = M.Recorder()
     base, ask = C.parted(t, "walk64")
     truth = Q.brute_knn(base, ask, 1, C.CONFIGS["walk64"])
-    for stage in G.STAGES:
-        got = M.run_phases(rec, f"failures in {stage}", 1, base, ask, C.CONFIGS["walk64"], "helping", faults={stage: Fault(dead=frozenset([0]))})
-        rec.put(f"failures in {stage}", "helping", 1, 0, "recall", M.recall(got, truth).first()[0])
+    for dead in (0, 1):
+        got = _helped(rec, t, "failures", "walk64", dead, ALL, {s: Fault(dead=frozenset(range(dead))) for s in ALL})
+        rec.put("failures", "helping", dead, 0, "recall", M.recall(got, truth).first()[0])
     for f in (0, 1, 4, 8, 16, 23):
         rec.put("failures", "helping (replayed)", f, 0, "makespan", Z.simulate(UNITS, "helping", 24, dead=frozenset(range(f))).makespan)
         rec.put("failures", "helping, live workers alone (replayed)", f, 0, "makespan", Z.simulate(UNITS, "helping", 24 - f).makespan)
