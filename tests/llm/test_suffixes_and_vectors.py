@@ -110,8 +110,14 @@ def vectors(spark):
     return spark.createDataFrame(rows, "vec_id bigint, embedding array<double>, label int"), rows
 
 
-def test_embedding_links_equal_brute_force(spark):
+@pytest.mark.parametrize("block", [2048, 6])
+def test_embedding_links_equal_brute_force(spark, monkeypatch, block):
+    monkeypatch.setattr(embeddings, "BLOCK", block)
     df, rows = vectors(spark)
+    rng = np.random.default_rng(9)
+    dense = rng.standard_normal(16)
+    more = [(1000 + k, [float(x) for x in dense / np.linalg.norm(dense) + rng.standard_normal(16) * 0.02], 1) for k in range(70)]
+    df, rows = df.unionByName(spark.createDataFrame(more, df.schema)), rows + more
     ok = [r for r in rows if r[0] is not None and r[1] and r[2] is not None and all(x is not None and np.isfinite(x) for x in r[1]) and any(r[1])]
     near = {r[0]: set() for r in rows if r[0] is not None}
     for a in ok:
@@ -129,3 +135,16 @@ def test_embedding_links_equal_brute_force(spark):
         assert (got[v].n_links, got[v].component_id, got[v].kept) == (len(near[v]), root[v], root[v] == v)
     assert (got[None].n_links, got[None].component_id, got[None].kept) == (0, None, False)
     assert embeddings.near_duplicates(df.limit(0)).count() == 0
+
+
+def test_cells_hold_few_unrelated_pairs_at_any_size():
+    for n in (100, 10_000, 10**6, 10**9):
+        width, count = embeddings.bands(n)
+        apart, linked = embeddings.same_cell(1 / 0.2 * 2**0.5), embeddings.same_cell(1.0)
+        assert n * apart**width <= embeddings.CROWD and (1 - linked**width) ** count <= 1 - embeddings.RECALL
+    assert embeddings.bands(10**9)[1] < 40 * embeddings.bands(100)[1]
+
+
+def test_pairs_of_groups():
+    got = [(int(x), int(y)) for a, b in embeddings.pairs_of(np.array([3, 1, 2, 4])) for x, y in zip(a, b)]
+    assert got == [(0, 1), (0, 2), (1, 2), (4, 5), (6, 7), (6, 8), (6, 9), (7, 8), (7, 9), (8, 9)]
