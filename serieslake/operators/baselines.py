@@ -41,7 +41,7 @@ def subtrees_by_bucket(summaries: DataFrame, cfg: IndexConfig) -> DataFrame:
 
 def subtrees_by_pieces(summaries: DataFrame, cfg: IndexConfig) -> DataFrame:
     """Several tasks a bucket: each builds the tree below one prefix of a few bits; the nodes above come from counts."""
-    return G.assemble(G.pieces(G.heads(summaries, cfg), cfg), cfg)
+    return G.assemble(cut(G.pieces(G.heads(summaries, cfg), cfg)), cfg)
 
 
 def inserted(words: np.ndarray, cfg: IndexConfig, flagged: bool = False) -> tuple[dict[str, int], dict[str, int]]:
@@ -89,7 +89,7 @@ def trees_one_by_one(summaries: DataFrame, cfg: IndexConfig, flagged: bool = Fal
     return summaries.select("bucket", "word").groupBy("bucket").applyInPandas(build, TREE + ", inserts bigint, splits bigint, flags bigint")
 
 
-def summarize(series: DataFrame, cfg: IndexConfig, strategy: str, workers: int = 2, fault: Fault | None = None, run: G.Run | None = None) -> DataFrame:
+def summarize(series: DataFrame, cfg: IndexConfig, strategy: str, workers: int = 4, fault: Fault | None = None, run: G.Run | None = None) -> DataFrame:
     """Summaries with values under a way to share the collection.
 
     helping: chunks with a ledger and helpers, each laid out by bucket. static_split, counter_claim, cas_claim: parts of one
@@ -109,7 +109,7 @@ def summarize(series: DataFrame, cfg: IndexConfig, strategy: str, workers: int =
     return full if strategy == "direct_insert" else cut(full)
 
 
-def tree(summaries: DataFrame, cfg: IndexConfig, strategy: str, flagged: bool = False, fault: Fault | None = None, run: G.Run | None = None, workers: int = 2) -> DataFrame | None:
+def tree(summaries: DataFrame, cfg: IndexConfig, strategy: str, flagged: bool = False, fault: Fault | None = None, run: G.Run | None = None, workers: int = 4) -> DataFrame | None:
     """Node counts by the strategy, or None where the level-wise builder does it."""
     if strategy == "helping":
         return G.tree_stage(run if run is not None else G.Run(), summaries, cfg, cfg.mode, fault, owners=workers)
@@ -129,7 +129,7 @@ def tree_by_parts(summaries: DataFrame, cfg: IndexConfig, mode: str, fault: Faul
     return raw, run.ledgers["tree"]
 
 
-def build(series: DataFrame, cfg: IndexConfig, strategy: str | None = None, mode: str | None = None, workers: int = 2, fault: Fault | None = None, flagged: bool = False) -> SeriesIndex:
+def build(series: DataFrame, cfg: IndexConfig, strategy: str | None = None, mode: str | None = None, workers: int = 4, fault: Fault | None = None, flagged: bool = False) -> SeriesIndex:
     """An index of any strategy or tree mode; equal trees and equal answers for all of them."""
     strategy = strategy or cfg.strategy
     if cfg.split_policy != "round_robin":

@@ -47,7 +47,7 @@ def summary(measures: DataFrame) -> DataFrame:
     return measures.groupBy("workload", "method", "param", "measure").agg(F.avg("value").alias("mean"), F.stddev_pop("value").alias("dev"), F.count(F.lit(1)).alias("reps"))
 
 
-def run_phases(rec: Recorder, workload: str, param, series: DataFrame, queries: DataFrame, cfg, strategy: str, mode: str | None = None, reps: int = 1, fault: Fault | None = None, k: int = 1, faults: dict[str, Fault] | None = None, workers: int = 2) -> DataFrame:
+def run_phases(rec: Recorder, workload: str, param, series: DataFrame, queries: DataFrame, cfg, strategy: str, mode: str | None = None, reps: int = 1, fault: Fault | None = None, k: int = 1, faults: dict[str, Fault] | None = None, workers: int = 4) -> DataFrame:
     """Times summarization, tree and query answering of a method and their sum; returns the last answers. ``faults``
     names a stage each (``fault`` alone: summarization); helps, copies and the counts of claims are recorded too."""
     answers = None

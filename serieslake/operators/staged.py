@@ -70,7 +70,7 @@ def pieces(keyed: DataFrame, cfg: IndexConfig) -> DataFrame:
 def assemble(deep: DataFrame, cfg: IndexConfig, top: int = TOP) -> DataFrame:
     """The forest from its pieces: nodes above are counted from the heads, and a node is there if its ancestors split."""
     top = min(top, cfg.max_depth)
-    deep = cut(deep.select("bucket", "path", "n_items"))
+    deep = deep.select("bucket", "path", "n_items")
     ends = deep.where(F.length("path") == top)
     upper = ends.select("bucket", F.explode(F.transform(F.sequence(F.lit(0), F.lit(top - 1)), lambda d: F.substring("path", F.lit(1), d))).alias("path"), "n_items").groupBy("bucket", "path").agg(F.sum("n_items").alias("n_items"))
     counted = cut(upper.unionByName(deep))
@@ -88,12 +88,19 @@ def staged(run: Run, name: str, spark, parts: int, make: Callable[..., DataFrame
 
 
 def summaries_stage(run: Run, series: DataFrame, cfg: IndexConfig, fault: Fault | None = None, **options) -> DataFrame:
-    """Summaries with values, laid out by bucket inside each part. Helpers of a chunk go by its groups."""
+    """Summaries with values, laid out by bucket inside each part. Chunks and their groups, by which helpers go, are ranges
+    of ids of about equal size, so that a source sorted by id reads little more than the range."""
     k, m = cfg.k_chunks, cfg.m_groups if cfg.levels > 1 else 1
-    of = part_of("series_id", k * m)
+    edges = series.approxQuantile("series_id", [i / (k * m) for i in range(1, k * m)], 0.005)  # k * m - 1 numbers, or none
 
     def make(part: int, group: int | None = None) -> DataFrame:
-        mine = series.where(F.floor(of / m) == part if group is None else of == part * m + group)
+        lo, hi = (part * m, part * m + m) if group is None else (part * m + group, part * m + group + 1)
+        mine = series
+        if edges:
+            mine = mine.where(F.col("series_id") >= edges[lo - 1]) if lo else mine
+            mine = mine.where(F.col("series_id") < edges[hi - 1]) if hi < k * m else mine
+        elif lo:
+            mine = mine.where(F.lit(False))
         return X.summarize(mine, cfg, True).sortWithinPartitions("bucket")
 
     return staged(run, "summarize", series.sparkSession, k, make, fault, m, backoff_factor=cfg.backoff_factor, **options).select("series_id", "paa", "word", "bucket", "values")
