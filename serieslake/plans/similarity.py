@@ -364,9 +364,25 @@ def range_walk64(t: Tables):
     return Q.range_search(C.index(t, "walk64"), C.parted(t, "walk64")[1], 3.0).select("query_id", "series_id", F.round("dist", 6).alias("dist"))
 
 
-@query()
+_BITS = f"list_aggregate(list_transform(range(0, {DEPTH}), lambda d: CAST((word[d % {W} + 1] >> (6 - d // {W})) & 1 AS VARCHAR)), 'string_agg', '')"
+# symbols of a leaf have 1 bit of the bucket and those of the path, dealt round robin
+_LEFT_OUT = "(7 - (length(l.path) + 8 - j) // 8)"
+_LEAF_LB = _GAP.format(f="8.0", lo=f"e[((l.word[j] >> {_LEFT_OUT}) << {_LEFT_OUT}) + 1]", a="a.paa[j]", b="a.paa[j]", hi=f"e[(((l.word[j] >> {_LEFT_OUT}) + 1) << {_LEFT_OUT}) + 1]")
+
+
+@query(sql("walk64", f""", place AS MATERIALIZED (
+  SELECT b.series_id, b.z, b.word, n.bucket, n.path FROM (SELECT *, {_BITS} AS b FROM base) b JOIN ranked n ON n.bucket = b.bucket AND n.is_leaf AND n.path = b.b[1:length(n.path)]),
+leaf AS MATERIALIZED (SELECT bucket, path, arg_min(word, series_id) AS word FROM place GROUP BY ALL),
+asked AS (SELECT query_id, {_BITS} AS b, list_sum(list_transform(range(0, {W}), lambda j: (word[j + 1] >> 7) << ({W - 1} - j))) AS bucket FROM ask),
+home AS MATERIALIZED (SELECT a.query_id, l.bucket, l.path FROM asked a JOIN leaf l ON l.bucket = a.bucket AND l.path = a.b[1:length(l.path)]),
+far AS (SELECT query_id, bucket, path FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY lb, bucket, path) AS r FROM (
+  SELECT a.query_id, l.bucket, l.path, {_LEAF_LB} AS lb FROM ask a, leaf l, ends WHERE a.query_id NOT IN (SELECT query_id FROM home))) WHERE r = 1)
+SELECT query_id, series_id, round(dist, 6) AS dist FROM (
+  SELECT a.query_id, p.series_id, list_distance(a.z, p.z) AS dist, row_number() OVER (PARTITION BY a.query_id ORDER BY list_distance(a.z, p.z), p.series_id) AS r
+  FROM ask a JOIN (SELECT * FROM home UNION ALL SELECT * FROM far) h ON h.query_id = a.query_id JOIN place p ON p.bucket = h.bucket AND p.path = h.path) WHERE r = 1""", tree=True).replace("cnt AS", _ENDS + ",\ncnt AS", 1).replace("\n, place", ",\nplace"))
 def approx_nn(t: Tables):
-    return Q.approx_nn(C.index(t, "walk64"), C.parted(t, "walk64")[1])
+    """The best member of each query's own leaf, or of the leaf of least bound where there is none."""
+    return Q.approx_nn(C.index(t, "walk64"), C.parted(t, "walk64")[1]).select("query_id", "series_id", F.round("dist", 6).alias("dist"))
 
 
 @query(sql("walk64", "SELECT query_id, series_id, round(dist, 6) AS dist FROM (SELECT a.series_id AS query_id, b.series_id, list_distance(a.z, b.z) AS dist, row_number() OVER (PARTITION BY a.series_id ORDER BY list_distance(a.z, b.z), b.series_id) AS r FROM base a JOIN base b ON a.series_id <> b.series_id) WHERE r = 1"))
@@ -521,6 +537,13 @@ def src_orc_round_trip(t: Tables):
     return _round_trip(t, "orc", "part")
 
 
+@query("SELECT n_name FROM nation")
+def src_text_round_trip(t: Tables):
+    path = f"{shared_folder(t.spark)}/round-trip-{uuid.uuid4()}"
+    t.nation.select("n_name").write.text(f"{path}/nation.text")
+    return src.load(t.spark, path, "nation", "text").withColumnRenamed("value", "n_name")
+
+
 @query("SELECT row_number() OVER (ORDER BY vec_id) - 1 AS position, round(CAST(embedding[1] AS DOUBLE), 6) AS first, round(CAST(embedding[64] AS DOUBLE), 6) AS last FROM embeddings")
 def src_f32_round_trip(t: Tables):
     path = f"{shared_folder(t.spark)}/f32-{uuid.uuid4()}"

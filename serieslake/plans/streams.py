@@ -51,6 +51,28 @@ def st_session(t: Tables):
     return got.groupBy("user_id").agg(F.count(F.lit(1)).alias("sessions"), F.max("n").alias("most"))
 
 
+@query("""SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, event_type, count(*) AS n FROM events
+WHERE event_id % 10 <> 9 OR time_bucket(INTERVAL 1 DAY, ts) + INTERVAL 1 DAY > (SELECT max(ts) - INTERVAL 1 HOUR FROM events WHERE event_id % 10 <> 9)
+GROUP BY ALL""")
+def st_late_drop(t: Tables):
+    """Every tenth event comes after all others: those of windows that the watermark has closed are dropped, the others count."""
+    feed, out, at = (_fresh(t, what) for what in ("events", "windows", "stream"))
+    late = F.col("event_id") % 10 == 9
+    for part in (~late, late):
+        t.events.where(part).write.mode("append").parquet(feed)
+        got = ST.run_to_folder(ST.windowed(ST.stream_events(t.spark, feed), "tumbling", "1 day"), out, "update", at)
+    return got.groupBy(F.date_format("win.start", "yyyy-MM-dd").alias("day"), "event_type").agg(F.max("n").alias("n"))
+
+
+@query("""SELECT p.user_id, v.event_id AS first_id, p.event_id AS then_id FROM events v JOIN events p ON v.user_id = p.user_id
+AND v.event_type = 'view' AND p.event_type = 'purchase' AND p.ts BETWEEN v.ts AND v.ts + INTERVAL 12 HOUR""")
+def st_interval_join(t: Tables):
+    """Purchases of a user within twelve hours after a view."""
+    events = _events(t)
+    got = ST.interval_join(events.where("event_type = 'view'"), events.where("event_type = 'purchase'"), "user_id", "12 hours")
+    return _table(t, got, "append").select("user_id", "first_id", "then_id")
+
+
 @query("SELECT DISTINCT event_type, user_id FROM events")
 def st_dedup(t: Tables):
     return _table(t, _events(t).select("event_type", "user_id").dropDuplicates(), "append")

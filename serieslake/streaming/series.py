@@ -54,6 +54,15 @@ def ring_series(events: DataFrame, n: int) -> DataFrame:
     return events.select("user_id", "ts", "event_id", "value").groupBy("user_id").applyInPandasWithState(keep, "series_id bigint, user_id bigint, values array<double>", "held array<double>, last bigint", "append", GroupStateTimeout.NoTimeout)
 
 
+def interval_join(first: DataFrame, then: DataFrame, key: str, within: str, lateness: str = "1 hour") -> DataFrame:
+    """(key, first_id, then_id, first_ts, then_ts): rows of ``then`` at most ``within`` after a row of ``first`` of the same
+    key. Both streams have watermarks and the bound is one of time, so the state of either is let go in time."""
+    a = first.select(F.col(key).alias("_key"), F.col("event_id").alias("first_id"), F.col("ts").alias("first_ts")).withWatermark("first_ts", lateness)
+    b = then.select(key, F.col("event_id").alias("then_id"), F.col("ts").alias("then_ts")).withWatermark("then_ts", lateness)
+    near = (F.col("_key") == F.col(key)) & F.col("then_ts").between(F.col("first_ts"), F.col("first_ts") + F.expr(f"interval {within}"))
+    return a.join(b, near).select(key, "first_id", "then_id", "first_ts", "then_ts")
+
+
 def append_stream(series: DataFrame, path: str, checkpoint: str):
     """Appends each batch of series to a stored index once: the manifest names the batches it holds, so a replayed batch is skipped."""
 
@@ -79,3 +88,14 @@ def run_to_table(df: DataFrame, name: str, mode: str, checkpoint: str) -> DataFr
     q = df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     q.awaitTermination()
     return df.sparkSession.table(name)
+
+
+def run_to_folder(df: DataFrame, path: str, mode: str, checkpoint: str) -> DataFrame:
+    """Runs a stream over what is there now and returns all that its batches, of this run and earlier ones with the same
+    checkpoint, gave. A batch has a folder of its own, so a replayed one replaces itself."""
+
+    def put(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
+
+    df.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    return df.sparkSession.read.parquet(path)
