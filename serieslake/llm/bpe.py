@@ -34,6 +34,8 @@ from .common import cut, gathered, squeeze, unsqueeze
 WORDS = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^S\p{L}\p{N}]+|[S]+(?![^S])|[S]+".replace("S", r"\p{IsWhite_Space}")
 #: Words of a unit, about: what one task holds of places (4 bytes each) and of distinct words; bytes of texts for each bucket of the table.
 UNIT_WORDS, BUCKET_BYTES = 1 << 22, 64 << 20
+#: Effort of compression: payloads are written twice and take little time to pack.
+LEVEL = 9
 
 
 def default_vocabulary() -> str:
@@ -124,10 +126,10 @@ def units(docs: DataFrame, keep: list[str], path: str, buckets: int) -> DataFram
             rank = np.empty(len(order), dtype=np.int64)
             rank[order[by_count(often)]] = np.arange(len(order))
             cuts = np.concatenate([[0], np.flatnonzero(np.diff(bucket)) + 1, [len(bucket)]]) if len(bucket) else np.zeros(1, np.int64)
-            names, payloads = [-1], [squeeze(np.frombuffer(sink.getvalue(), np.uint8), counts, rank[places], often)]
+            names, payloads = [-1], [squeeze(np.frombuffer(sink.getvalue(), np.uint8), counts, rank[places], often, level=LEVEL)]
             for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
                 names.append(int(bucket[lo]))
-                payloads.append(squeeze(*parts_of(distinct.slice(lo, hi - lo))))
+                payloads.append(squeeze(*parts_of(distinct.slice(lo, hi - lo)), level=LEVEL))
             return pa.RecordBatch.from_arrays([pa.array([part + n] * len(names), pa.int64()), pa.array(names, pa.int32()), pa.array(payloads, pa.binary())], names=["unit", "bucket", "payload"])
 
         for b in batches:
@@ -160,7 +162,7 @@ def word_table(asked: DataFrame, path: str) -> DataFrame:
                 got = ids.take(coded.indices.slice(at, len(mine)))
                 n = len(ids) if not at else 0
                 at += len(mine)
-                payload = squeeze(got.value_lengths().to_numpy(), got.flatten().to_numpy())
+                payload = squeeze(got.value_lengths().to_numpy(), got.flatten().to_numpy(), level=LEVEL)
                 yield pa.RecordBatch.from_arrays([pa.array([unit], pa.int64()), pa.array([bucket], pa.int32()), pa.array([payload], pa.binary()), pa.array([n], pa.int64())], names=["unit", "bucket", "payload", "n_words"])
 
         yield from gathered(batches, settle)

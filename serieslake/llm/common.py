@@ -82,7 +82,7 @@ def pa_type(t: T.DataType) -> pa.DataType:
     return simple[t.simpleString()]
 
 
-def squeeze(*parts: np.ndarray) -> bytes:
+def squeeze(*parts: np.ndarray, level: int = 3) -> bytes:
     """Arrays without negative numbers in one compressed string, by planes of bytes. Signed integers are taken for mostly
     small: they get one byte each, and four planes more for those from 255 on."""
     out = []
@@ -92,7 +92,7 @@ def squeeze(*parts: np.ndarray) -> bytes:
         else:
             large = x[x >= 255].astype("<u4").view(np.uint8).reshape(-1, 4)
             planes = [np.minimum(x, 255).astype(np.uint8), *large.T]
-        packed = [zstandard.compress(np.ascontiguousarray(p).tobytes(), 3) for p in planes]
+        packed = [zstandard.compress(np.ascontiguousarray(p).tobytes(), level) for p in planes]
         out.append(len(packed).to_bytes(1, "little") + b"".join(len(p).to_bytes(8, "little") + p for p in packed))
     return b"".join(out)
 
