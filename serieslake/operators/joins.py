@@ -27,10 +27,11 @@ def interval(left: DataFrame, right: DataFrame, point: str, start: str, end: str
 
 def salted(big: DataFrame, small: DataFrame, key: str, salts: int, how: str = "inner") -> DataFrame:
     """Equi-join with the big side's keys dealt over ``salts`` and the small side repeated for each salt.
-    The salt is a hash of the row, so a retried task deals it the same way."""
+    The salt is a hash of the row, so a retried task deals it the same way. Both sides are shuffled: Spark's estimate
+    of the small side knows nothing of the repetition, so it would be broadcast at any number of rows."""
     salt = F.pmod(F.xxhash64(*big.columns), F.lit(salts)).cast("int")
     repeated = small.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
-    return big.withColumn("_salt", salt).join(repeated, [key, "_salt"], how).drop("_salt")
+    return big.withColumn("_salt", salt).join(repeated.hint("merge"), [key, "_salt"], how).drop("_salt")
 
 
 def max_per_bucket(df: DataFrame, key: Column) -> DataFrame:
