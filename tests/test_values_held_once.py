@@ -10,12 +10,15 @@ from oracle import duck, spark_rows
 from serieslake.config import IndexConfig
 from serieslake.operators import baselines as B
 from serieslake.operators import index as X
+from serieslake.operators import measures as M
 from serieslake.operators import search as Q
 from serieslake.operators import series as R
 from serieslake.operators import staged as G
+from serieslake.plans import collections as C
 from serieslake.plans.catalog import ORACLE, QUERIES
 from serieslake.plans.registry import Tables
 from serieslake.session import cut, shared_folder
+from serieslake.sources import tables as src
 
 CFG = IndexConfig()
 
@@ -81,3 +84,18 @@ def test_many_words_find_their_leaves_by_the_splits(parts, monkeypatch):
         got = X.build(parts[0], CFG)
         assert X.tree_equal(small.nodes, got.nodes)
         assert {(r.series_id, r.leaf_id) for r in got.by_leaf.collect()} == want
+
+
+@pytest.mark.parametrize("strategy", ["helping", "barrier"])
+def test_indexes_of_noise_runs_write_no_windows(spark, strategy):
+    """Each index of w4_hardness held the windows twice more: with the summaries and by leaf."""
+    t = Tables(spark, "/root/testdata/sf0.01")
+    base, _ = C.parted(t, "signal256")
+    before = written(spark)
+    ix = C.index(t, "signal256", strategy)
+    asked = cut(src.noisy_queries(base, 0.05, 10))
+    got = {r.query_id: r.dist for r in Q.knn(ix, asked, 1).collect()}
+    shares = M.pruning(ix, asked)
+    assert written(spark) - before < 256 * 8 * 9_645  # the values of the collection, once
+    assert 0 < shares["pruned_series"] < 1
+    assert all(abs(r.dist - got[r.query_id]) < 1e-9 for r in Q.brute_knn(base, asked, 1, C.CONFIGS["signal256"]).collect()) and len(got) == 10
