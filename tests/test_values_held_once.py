@@ -99,3 +99,11 @@ def test_indexes_of_noise_runs_write_no_windows(spark, strategy):
     assert written(spark) - before < 256 * 8 * 9_645  # the values of the collection, once
     assert 0 < shares["pruned_series"] < 1
     assert all(abs(r.dist - got[r.query_id]) < 1e-9 for r in Q.brute_knn(base, asked, 1, C.CONFIGS["signal256"]).collect()) and len(got) == 10
+
+
+def test_phases_of_the_indexes_write_no_values(spark, monkeypatch):
+    """Each of the three indexes of w3_real_collections wrote the values of both collections twice."""
+    seen, deal = [], X.cluster_by_leaf
+    monkeypatch.setattr(X, "cluster_by_leaf", lambda *a: seen.append(a[0].columns) or deal(*a))
+    got = QUERIES["w3_real_collections"](spark, "/root/testdata/sf0.001")
+    assert seen == [["series_id", "word"]] * 6 and got.count() == 66
